@@ -7,10 +7,14 @@ places are counted before suppression and their labels always stay. Null or empt
 """
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: The same words before A-Z are lower-cased.
+ANY_CASE = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 #: Fixed phrases of the contract.
 BASE = [("gpl", "gnu general public license"), ("apache", "apache license"), ("cc-by", "cc by"), ("mit", "mit license")]
 LEVELS = 4
@@ -53,56 +57,53 @@ def rules() -> list[tuple[str, str, str, int, float]]:
     return sorted(dict.fromkeys(out), key=lambda r: -r[3])
 
 
-def places(norm: Column, pattern: str, first: int) -> Column:
-    """Word intervals of a pattern's matches, from the pieces between them; first: blanks before the first word."""
-    text = f"(?<= ){pattern}"
-    rest, hits = F.split(norm, text, -1), F.regexp_extract_all(norm, F.lit(text), F.lit(0))
-    blanks = lambda s: (F.length(s) - F.length(F.replace(s, F.lit(" "), F.lit("")))).cast("long")
+HIT = "array<struct<label:string,s:bigint,e:bigint,priority:int,confidence:double>>"
+
+
+def places(norm: Column, pattern: Column) -> Column:
+    """Word intervals of a pattern's matches, from the pieces between them; norm begins and ends with a blank."""
+    text = F.concat(F.lit("(?<= )"), pattern)
+    blanks = lambda s: (F.length(s) - F.length(F.replace(s, F.lit(" "), F.lit("")))).cast("bigint")
+    hits = F.regexp_extract_all(norm, text, F.lit(0))
+    pairs = F.zip_with(F.slice(F.split(norm, text, -1), 1, F.size(hits)), hits, lambda g, h: F.struct(blanks(g).alias("gap"), blanks(h).alias("len")))
     step = lambda acc, x: F.struct((acc["at"] + x["gap"] + x["len"]).alias("at"), F.array_append(acc["out"], F.struct((acc["at"] + x["gap"]).alias("s"), (acc["at"] + x["gap"] + x["len"]).alias("e"))).alias("out"))
-    pairs = F.zip_with(F.slice(rest, 1, F.size(hits)), hits, lambda g, h: F.struct(blanks(g).alias("gap"), blanks(h).alias("len")))
-    zero = F.struct(F.lit(-1).cast("long").alias("at"), F.array().cast("array<struct<s:bigint,e:bigint>>").alias("out"))
+    zero = F.struct(F.lit(-1).cast("bigint").alias("at"), F.array().cast("array<struct<s:bigint,e:bigint>>").alias("out"))
     return F.aggregate(pairs, zero, step, lambda acc: acc["out"])
 
 
-def detect(docs: DataFrame) -> DataFrame:
-    """doc_id, n_words, base (label, s), kept detections (label, s, e, priority, confidence)."""
-    hit = "array<struct<label:string,s:bigint,e:bigint,priority:int,confidence:double>>"
-    gate = sorted({k for _, k, *_ in rules()} | {"license", "cc"})
-    text = F.coalesce("text", F.lit(""))
-    words = docs.select("doc_id", F.when(F.lower(text).rlike("|".join(gate)), text).alias("body"), F.regexp_count(text, F.lit(f"(?i){WORD}")).cast("long").alias("n_words"))
-    norm = F.when(F.col("body").isNotNull(), F.concat(F.lit(" "), F.array_join(F.regexp_extract_all(F.translate("body", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), F.lit(WORD), F.lit(0)), " "), F.lit(" ")))
-    words = words.select("doc_id", "n_words", norm.alias("norm"))
-    none = F.array().cast(hit)
+def detections(norm: Column, table: list[tuple[str, str, str, int, float]]) -> Column:
+    """Matches of the rules whose keyword occurs. The table is one constant, so the plan does not grow with the rules."""
+    rows = json.dumps([dict(zip(("label", "key", "pattern", "priority", "confidence"), r)) for r in table])
+    known = F.from_json(F.lit(rows), "array<struct<label:string,key:string,pattern:string,priority:int,confidence:double>>")
+    due = F.filter(known, lambda r: F.contains(norm, r["key"]))
+    named = lambda r: F.transform(places(norm, r["pattern"]), lambda x: F.struct(r["label"].alias("label"), x["s"].alias("s"), x["e"].alias("e"), r["priority"].alias("priority"), r["confidence"].alias("confidence")))
+    return F.when(norm.isNotNull(), F.flatten(F.transform(due, named)).cast(HIT)).otherwise(F.array().cast(HIT))
 
-    def found(label, key, pattern, priority, confidence):
-        named = F.transform(places(F.col("norm"), pattern, 1), lambda x: F.struct(F.lit(label).alias("label"), x["s"].alias("s"), x["e"].alias("e"), F.lit(priority).alias("priority"), F.lit(confidence).alias("confidence")))
-        return F.when(F.contains("norm", F.lit(key)), named.cast(hit)).otherwise(none)
 
-    base = F.when(F.col("norm").isNotNull(), F.concat(*[found(a, p.split(" ")[0], f"{p} ", 1, 0.7) for a, p in BASE])).otherwise(none)
-    return words, base, [found(*r) for r in rules()], none
-
-
-def scan_licenses(docs: DataFrame) -> DataFrame:
-    """doc_id, n_words, base detections and kept detections; one pass without a shuffle."""
-    words, base, found, none = detect(docs)
-    hit = "array<struct<label:string,s:bigint,e:bigint,priority:int,confidence:double>>"
-    words = words.withColumn("base", base)
-    names = []
-    for i in range(0, len(found), 40):
-        words = words.withColumn(f"_part{i}", F.when(F.col("norm").isNotNull(), F.concat(*found[i : i + 40])).otherwise(none))
-        names.append(f"_part{i}")
-    every = F.concat("base", *names)
-    order = F.array_sort(F.transform(every, lambda x: F.struct(x["s"].alias("s"), (-x["e"]).alias("m"), (-x["priority"]).alias("p"), x["label"].alias("label"), x["confidence"].alias("c"))))
+def suppressed(found: Column) -> Column:
+    """Without the detections inside an earlier one of equal or higher priority; one ordered pass with an end for each priority."""
+    order = F.array_sort(F.transform(found, lambda x: F.struct(x["s"].alias("s"), (-x["e"]).alias("m"), (-x["priority"]).alias("p"), x["label"].alias("label"), x["confidence"].alias("c"))))
 
     def keep(acc, x):
-        inside = F.exists(F.sequence(F.lit(1), F.lit(LEVELS)), lambda p: (p >= -x["p"]) & (F.element_at(acc["ends"], p) >= -x["m"]))
+        inside = F.exists(F.slice(acc["ends"], -x["p"], F.lit(LEVELS)), lambda e: e >= -x["m"])
         ends = F.transform(acc["ends"], lambda e, i: F.when(i + 1 == -x["p"], F.greatest(e, -x["m"])).otherwise(e))
         one = F.struct(x["label"].alias("label"), x["s"].alias("s"), (-x["m"]).alias("e"), (-x["p"]).alias("priority"), x["c"].alias("confidence"))
         return F.struct(ends.alias("ends"), F.when(inside, acc["out"]).otherwise(F.array_append(acc["out"], one)).alias("out"))
 
-    zero = F.struct(F.array(*[F.lit(-1).cast("long")] * LEVELS).alias("ends"), F.array().cast(hit).alias("out"))
-    kept = F.when(F.size(every) > 0, F.aggregate(order, zero, keep, lambda acc: acc["out"])).otherwise(none)
-    return words.select("doc_id", "n_words", "base", kept.alias("kept"))
+    zero = F.struct(F.array(*[F.lit(-1).cast("bigint")] * LEVELS).alias("ends"), F.array().cast(HIT).alias("out"))
+    return F.when(F.size(found) > 0, F.aggregate(order, zero, keep, lambda acc: acc["out"])).otherwise(F.array().cast(HIT))
+
+
+def scan_licenses(docs: DataFrame) -> DataFrame:
+    """doc_id, n_words, base detections and kept detections; one pass without a shuffle."""
+    base = [(label, phrase.split(" ")[0], f"{phrase} ", 1, 0.7) for label, phrase in BASE]
+    gate = "|".join(sorted({r[1] for r in rules() + base}))
+    text = F.coalesce("text", F.lit(""))
+    low = F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    norm = F.concat(F.lit(" "), F.array_join(F.regexp_extract_all(low, F.lit(WORD), F.lit(0)), " "), F.lit(" "))
+    words = docs.select("doc_id", F.regexp_count(text, F.lit(ANY_CASE)).cast("bigint").alias("n_words"), F.when(text.rlike(f"(?i){gate}"), norm).alias("norm"))
+    found = words.select("doc_id", "n_words", detections(F.col("norm"), base).alias("base"), detections(F.col("norm"), rules()).alias("more"))
+    return found.select("doc_id", "n_words", "base", suppressed(F.concat("base", "more")).alias("kept"))
 
 
 def report(docs: DataFrame) -> DataFrame:
