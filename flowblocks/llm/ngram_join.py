@@ -3,8 +3,9 @@
 Equal sets collapse first. A token order that puts corpus-wide rare tokens first comes from a table of fixed size that
 covers every document. Each set posts the rare end of its tokens: two sets that link share one of them. Similar
 sets are partitioned into groups (star links to the first set under a posted token, verified); the matrix row of a
-group is its token union. A query set meets a group only through a posted token, is bounded by its overlap with the
-union, and opens the group, member by member, only if the bound can reach the threshold.
+group holds its token union folded into COLUMNS columns, as the most tokens a member has in each. A query set meets a
+group only through a posted token, its overlap with the row bounds that with any member, and only groups whose bound
+can reach the threshold are opened, member by member.
 
 Null or empty texts have no shingle and link with nothing; repeated rows of one doc_id count once; ties keep the
 smallest doc_id; an empty table gives an empty table.
@@ -18,7 +19,7 @@ from pyspark.sql import functions as F
 from .common import components, durable
 from .word_stream import mix, windows, words
 
-FREQ_BITS, MIN_SHARED = 14, 1
+FREQ_BITS, CHUNKS, COLUMNS = 18, 64, 64
 
 
 def shingles(text: str | None, n: int = 3) -> np.ndarray:
@@ -35,7 +36,8 @@ def lead(n: int, num: int, den: int) -> int:
 
 
 def frequencies(docs: DataFrame, n: int) -> np.ndarray:
-    """Tokens by hash bucket over all documents; the table's size is fixed at 2^FREQ_BITS."""
+    """Tokens by hash bucket over all documents; the table's size is fixed at 2^FREQ_BITS. Tasks send theirs in CHUNKS pieces."""
+    width = (1 << FREQ_BITS) // CHUNKS
 
     def count(batches):
         import pyarrow as pa
@@ -43,18 +45,25 @@ def frequencies(docs: DataFrame, n: int) -> np.ndarray:
         total = np.zeros(1 << FREQ_BITS, np.int64)
         for b in batches:
             for text in b.column(0):
-                total += np.bincount((shingles(text.as_py(), n) >> np.uint64(64 - FREQ_BITS)).astype(np.int64), minlength=1 << FREQ_BITS)
-        at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], ["b", "n"])
+                np.add.at(total, (shingles(text.as_py(), n) >> np.uint64(64 - FREQ_BITS)).astype(np.int64), 1)
+        yield pa.RecordBatch.from_arrays([pa.array(range(CHUNKS), pa.int32()), pa.array([x.tobytes() for x in total.reshape(CHUNKS, width)], pa.binary())], ["chunk", "part"])
 
-    got = docs.select("text").mapInArrow(count, "b int, n bigint").groupBy("b").agg(F.sum("n").alias("n")).toPandas()
-    out = np.zeros(1 << FREQ_BITS, np.int64)
-    out[got.b] = got.n
-    return out
+    def add(t):
+        import pyarrow as pa
+
+        total = np.zeros(width, np.int64)
+        for x in t.column("part"):
+            total += np.frombuffer(x.as_py(), np.int64)
+        return pa.table({"chunk": pa.array([t.column("chunk")[0].as_py()], pa.int32()), "part": pa.array([total.tobytes()], pa.binary())})
+
+    out = np.zeros((CHUNKS, width), np.int64)
+    for r in docs.select("text").mapInArrow(count, "chunk int, part binary").groupBy("chunk").applyInArrow(add, "chunk int, part binary").collect():
+        out[r.chunk] = np.frombuffer(r.part, np.int64)
+    return out.ravel()
 
 
 def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """doc_id, size, digest (a, b) and the posted tokens of every document."""
+    """doc_id, size, digest (a, b), the posted tokens and the tokens by matrix column of every document."""
     rare = docs.sparkSession.sparkContext.broadcast(frequencies(docs, n))
 
     def run(batches):
@@ -62,7 +71,7 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
 
         freq = rare.value
         for batch in batches:
-            size, a, b, posts = [], [], [], []
+            size, a, b, posts, cols = [], [], [], [], []
             for text in batch.column(1):
                 h = shingles(text.as_py(), n)
                 size.append(len(h))
@@ -71,11 +80,12 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
                     b.append(int(mix(h ^ np.uint64(0xA5A5A5A5A5A5A5A5)).sum(dtype=np.uint64).view(np.int64)) if len(h) else 0)
                 first = np.lexsort((h, freq[(h >> np.uint64(64 - FREQ_BITS)).astype(np.int64)]))[: lead(len(h), num, den)]
                 posts.append(h[first].view(np.int64))
+                cols.append(np.bincount((h & np.uint64(COLUMNS - 1)).astype(np.int64), minlength=COLUMNS))
             ends = np.cumsum([0, *map(len, posts)]).astype(np.int32)
             flat = np.concatenate(posts) if posts else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], ["doc_id", "n", "a", "b", "posts"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat)), pa.array(cols, pa.list_(pa.int32()))], ["doc_id", "n", "a", "b", "posts", "cols"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n bigint, a bigint, b bigint, posts array<bigint>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n bigint, a bigint, b bigint, posts array<bigint>, cols array<int>")
 
 
 def full_sets(docs: DataFrame, n: int) -> DataFrame:
@@ -90,16 +100,23 @@ def full_sets(docs: DataFrame, n: int) -> DataFrame:
     return docs.select(F.col("doc_id").alias("rid"), "text").mapInArrow(run, "rid bigint, tokens array<bigint>")
 
 
-def overlap(x: str, y: str):
-    return F.size(F.array_intersect(x, y))
+def reachable(size_u, size_v, cols_u: str, cols_v: str, num: int, den: int):
+    """Whether the column counts leave room for enough shared tokens: overlap <= sum of the smaller counts."""
+    most = F.aggregate(F.zip_with(cols_u, cols_v, lambda x, y: F.least(x, y)), F.lit(0), lambda a, x: a + x)
+    return most * (num + den) >= (F.col(size_u) + F.col(size_v)) * num
+
+
+def near_sizes(a, b, num: int, den: int):
+    return (F.col(a) * num <= F.col(b) * den) & (F.col(b) * num <= F.col(a) * den)
 
 
-def verify(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
-    """Those of the pairs (u, v) that link."""
-    left = sets.select(F.col("rid").alias("u"), F.col("tokens").alias("tu"))
-    right = sets.select(F.col("rid").alias("v"), F.col("tokens").alias("tv"))
-    both = pairs.join(left, "u").join(right, "v").withColumn("i", overlap("tu", "tv"))
-    return both.where(F.col("i") * den >= (F.size("tu") + F.size("tv") - F.col("i")) * num).select("u", "v")
+def verify(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
+    """Those of the pairs (u, v) that link; only the sets of their documents are made again and moved."""
+    ids = pairs.select(F.col("u").alias("doc_id")).union(pairs.select(F.col("v").alias("doc_id"))).distinct()
+    sets = durable(full_sets(docs.join(ids, "doc_id", "left_semi"), n).dropDuplicates(["rid"]))
+    both = pairs.join(sets.select(F.col("rid").alias("u"), F.col("tokens").alias("tu")), "u").join(sets.select(F.col("rid").alias("v"), F.col("tokens").alias("tv")), "v")
+    both = both.withColumn("i", F.size(F.array_intersect("tu", "tv")))
+    return durable(both.where(F.col("i") * den >= (F.size("tu") + F.size("tv") - F.col("i")) * num).select("u", "v"))
 
 
 def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataFrame:
@@ -107,31 +124,28 @@ def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataF
     docs = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
     sig = durable(signatures(docs, n, num, den))
     reps = durable(sig.where("n > 0").groupBy("a", "b", "n").agg(F.min("doc_id").alias("rid")))
-    posts = sig.join(reps.select(F.col("rid").alias("doc_id"), F.lit(1).alias("_r")), "doc_id").select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), F.explode("posts").alias("tok"))
-    posts = posts.dropDuplicates(["rid", "tok"])
-    met = posts.groupBy("tok").agg(F.count("*").alias("k"), F.min("rid").alias("hub")).where("k > 1")
-    shared = durable(posts.join(met.select("tok", "hub"), "tok"))
-    members = shared.select("rid").distinct()
-    sets = durable(full_sets(docs.join(members.select(F.col("rid").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"]), n))
-    # groups: star links under each posted token
-    stars = shared.where("rid <> hub").select(F.col("rid").alias("u"), F.col("hub").alias("v")).distinct()
-    sure = durable(verify(stars, sets, num, den))
+    own = sig.join(reps.select(F.col("rid").alias("doc_id")), "doc_id", "left_semi")
+    cols = durable(own.select(F.col("doc_id").alias("rid"), "cols"))
+    posts = own.select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), F.explode("posts").alias("tok"))
+    met = posts.groupBy("tok").agg(F.count("*").alias("k"), F.min(F.struct("rid", "size")).alias("hub")).where("k > 1")
+    shared = durable(posts.join(met.select("tok", F.col("hub.rid").alias("hub"), F.col("hub.size").alias("hub_size")), "tok"))
+    of = lambda name, to: cols.select(F.col("rid").alias(name), F.col("cols").alias(to))
+    # groups of similar sets: verified star links to the first set under a posted token
+    stars = shared.where((F.col("rid") != F.col("hub")) & near_sizes("size", "hub_size", num, den)).select(F.col("rid").alias("u"), F.col("hub").alias("v"), F.col("size").alias("su"), F.col("hub_size").alias("sv")).distinct()
+    stars = stars.join(of("u", "cu"), "u").join(of("v", "cv"), "v").where(reachable("su", "sv", "cu", "cv", num, den)).select("u", "v")
+    sure = verify(durable(stars), docs, n, num, den)
     group = components(sure).select(F.col("id").alias("rid"), F.col("component").alias("g"))
-    placed = durable(shared.join(group, "rid", "left").select("rid", "size", "tok", F.coalesce("g", "rid").alias("g")))
-    # the matrix: which groups a query set meets, then the bound by the group's token union
+    placed = durable(shared.select("rid", "size", "tok").join(group, "rid", "left").select("rid", "size", "tok", F.coalesce("g", "rid").alias("g")))
+    # the matrix: a group's row holds, by column, the most tokens that a set of it can have there
+    who = durable(placed.select("g", "rid", "size").distinct().join(cols, "rid"))
+    sized = who.groupBy("g").agg(F.min("size").alias("low"), F.array(*[F.max(F.get("cols", F.lit(i))) for i in range(COLUMNS)]).alias("row"))
     rows = placed.groupBy("tok", "g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"))
     query = placed.select("tok", F.col("rid").alias("u"), F.col("g").alias("gu"), F.col("size").alias("su"))
     meet = query.join(rows, "tok").where((F.col("g") < F.col("gu")) & (F.col("lo") * num <= F.col("su") * den) & (F.col("su") * num <= F.col("hi") * den)).select("u", "su", "g").distinct()
-    meet = durable(meet.join(stars.select("u", F.col("v").alias("g")), ["u", "g"], "left_anti") if False else meet)
-    who = placed.select("g", "rid", "size").distinct()
-    wanted = meet.select("g").distinct()
-    union = who.join(wanted, "g").join(sets, "rid").select("g", F.explode("tokens").alias("t")).distinct().groupBy("g").agg(F.collect_list("t").alias("union"))
-    lows = who.groupBy("g").agg(F.min("size").alias("lo"))
-    bound = meet.join(sets.select(F.col("rid").alias("u"), "tokens"), "u").join(union, "g").join(lows, "g").withColumn("i", overlap("tokens", "union"))
-    need = F.ceil((F.col("su") + F.greatest(F.col("lo"), F.ceil(F.col("su") * num / den))) * num / (num + den))
-    opened = durable(bound.where(F.col("i") >= need).select("u", "su", "g"))
-    pairs = opened.join(who, "g").where((F.col("size") * num <= F.col("su") * den) & (F.col("su") * num <= F.col("size") * den)).select("u", F.col("rid").alias("v"))
-    late = verify(pairs, sets, num, den)
+    bound = meet.join(of("u", "cu"), "u").join(sized, "g").withColumn("least", F.greatest(F.col("low"), F.ceil(F.col("su") * num / den)))
+    opened = durable(bound.where(reachable("su", "least", "cu", "row", num, den)).select("u", "su", "cu", "g"))
+    pairs = opened.join(who.select("g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("cols").alias("cv")), "g")
+    late = verify(durable(pairs.where(near_sizes("su", "sv", num, den) & reachable("su", "sv", "cu", "cv", num, den)).select("u", "v")), docs, n, num, den)
     comp = components(sure.union(late)).select(F.col("id").alias("rid"), "component")
-    of = reps.join(comp, "rid", "left").select("a", "b", "n", F.coalesce("component", "rid").alias("component"))
-    return sig.select("doc_id", "n", "a", "b").join(of, ["a", "b", "n"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
+    of_class = reps.join(comp, "rid", "left").select("a", "b", "n", F.coalesce("component", "rid").alias("component"))
+    return sig.select("doc_id", "n", "a", "b").join(of_class, ["a", "b", "n"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
