@@ -11,45 +11,56 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import durable
+
 DEPTH, MIN_DOCS = 3, 3
-FIELD = r"(?<![^ ])[^ 0-9]*+[0-9][^ ]*+"
+FIELD = r"(?<![^ \n])[^ \n0-9]*+[0-9][^ \n]*+"
+BLANKS = ("\t", "\r", "\f", "\x0b", "  ", " \n", "\n ")
 
 
-def template(line: Column) -> Column:
-    """Generalised tokens joined by single blanks; the empty string for a blank line."""
-    flat = F.trim(F.when(line.rlike(r"[\t\r\f\x0B]|  "), F.regexp_replace(line, r"[\t\r\f\x0B ]+", " ")).otherwise(line))
+def generalised(text: Column) -> Column:
+    """The whole text with runs of blanks made one, line ends bare and variable fields as `<*>`; line breaks stay in place."""
+    odd = F.contains(text, F.lit(BLANKS[0]))
+    for x in BLANKS[1:]:
+        odd = odd | F.contains(text, F.lit(x))
+    flat = F.when(odd, F.regexp_replace(F.regexp_replace(text, r"[\t\r\f\x0B ]+", " "), r"(?<=\n) | (?=\n)", "")).otherwise(text)
+    flat = F.trim(flat)
     return F.when(flat.rlike("[0-9]"), F.regexp_replace(flat, FIELD, "<*>")).otherwise(flat)
 
 
 def node(t: Column) -> Column:
-    """(token count, leading tokens, template) as two independent 64-bit keys of the leaf and of the template in it."""
+    """(token count, leading tokens) of the leaf and the template in it, as two independent 64-bit keys; null for a blank line."""
     count = F.length(t) - F.length(F.replace(t, F.lit(" "), F.lit("")))
-    return F.when(t == "", F.lit(None)).otherwise(F.struct(F.xxhash64(count, F.substring_index(t, " ", DEPTH)).alias("leaf"), F.xxhash64(F.lit(1), t).alias("leafed")))
+    return F.when(t != "", F.struct(F.xxhash64(count, F.substring_index(t, " ", DEPTH)).alias("leaf"), F.xxhash64(F.lit(1), t).alias("leafed")))
 
 
 def keys(text: Column) -> Column:
-    return F.transform(F.split(text, "\n", -1), lambda x: node(template(x)))
+    return F.transform(F.split(generalised(text), "\n", -1), node)
+
+
+def templates(docs: DataFrame) -> DataFrame:
+    """doc_id, leaf, leafed: the distinct templates of each document."""
+    return docs.where("text is not null").select("doc_id", F.explode(F.array_distinct(keys(F.col("text")))).alias("k")).where("k is not null").select("doc_id", "k.leaf", "k.leafed")
 
 
-def recurring(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
+def recurring(each: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
     """leaf, leafed, first document of every recurring template; one partial aggregate in front of the shuffle."""
-    each = docs.where("text is not null").select("doc_id", F.explode(F.array_distinct(keys(F.col("text")))).alias("k")).where("k is not null")
-    return each.groupBy("k.leaf", "k.leafed").agg(F.count("*").alias("n_docs"), F.min("doc_id").alias("first_doc")).where(F.col("n_docs") >= min_docs)
+    return each.groupBy("leaf", "leafed").agg(F.count("*").alias("n_docs"), F.min("doc_id").alias("first_doc")).where(F.col("n_docs") >= min_docs)
 
 
 def dedup(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
     """docs with text less the dropped lines, plus n_lines and n_dropped (bigint)."""
     own = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
     docs = docs.select(own)
-    each = docs.where("text is not null").select("doc_id", F.explode(F.array_distinct(keys(F.col("text")))).alias("k")).where("k is not null").select("doc_id", "k.leaf", "k.leafed")
-    drop = each.join(recurring(docs, min_docs).select("leaf", "leafed", "first_doc"), ["leaf", "leafed"]).where("doc_id <> first_doc")
+    each = durable(templates(docs))
+    drop = each.join(recurring(each, min_docs).select("leaf", "leafed", "first_doc"), ["leaf", "leafed"]).where("doc_id <> first_doc")
     drop = drop.groupBy("doc_id").agg(F.collect_set(F.struct("leaf", "leafed")).alias("_drop"))
-    lines = F.split("text", "\n", -1)
-    joined = docs.join(drop, "doc_id", "left")
-    kept = F.filter(lines, lambda x: ~F.coalesce(F.array_contains("_drop", node(template(x))), F.lit(False)))
-    has = F.col("_drop").isNotNull()
-    out = joined.withColumn("_kept", F.when(has, kept)).withColumn("n_lines", F.when(F.col("text").isNull(), 0).otherwise(F.size(lines)).cast("bigint"))
-    out = out.withColumn("n_dropped", F.when(has, F.col("n_lines") - F.size("_kept")).otherwise(0).cast("bigint")).withColumn("text", F.when(has, F.array_join("_kept", "\n")).otherwise(F.col("text")))
+    has, text = F.col("_drop").isNotNull(), F.col("text")
+    marked = F.zip_with(F.split(text, "\n", -1), keys(text), lambda x, k: F.struct(x.alias("x"), F.coalesce(F.array_contains("_drop", k), F.lit(False)).alias("gone")))
+    kept = F.transform(F.filter(marked, lambda m: ~m["gone"]), lambda m: m["x"])
+    lines = (F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).cast("bigint")
+    out = docs.join(drop, "doc_id", "left").withColumn("_kept", F.when(has, kept)).withColumn("n_lines", F.coalesce(lines, F.lit(0)))
+    out = out.withColumn("n_dropped", F.when(has, F.col("n_lines") - F.size("_kept")).otherwise(0).cast("bigint")).withColumn("text", F.when(has, F.array_join("_kept", "\n")).otherwise(text))
     return out.select(*own, "n_lines", "n_dropped")
 
 
@@ -63,7 +74,7 @@ SQL = rf"""
 with lines as (
   select doc_id, text, unnest(string_split(text, chr(10))) line, generate_subscripts(string_split(text, chr(10)), 1) i from documents where text is not null),
 flat as (select doc_id, i, line, {CLEAN_SQL} f from lines),
-t as (select doc_id, i, line, array_to_string(list_transform(string_split(f, ' '), x -> case when regexp_matches(x, '[0-9]') then '<*>' else x end), ' ') tpl from flat),
+t as (select doc_id, i, line, array_to_string(list_transform(string_split(f, ' '), lambda x: case when regexp_matches(x, '[0-9]') then '<*>' else x end), ' ') tpl from flat),
 rec as (select tpl, min(doc_id) first_doc from t where tpl <> '' group by tpl having count(distinct doc_id) >= {MIN_DOCS}),
 m as (select t.*, (rec.tpl is not null and t.doc_id <> rec.first_doc) gone from t left join rec using (tpl)),
 s as (select doc_id, count(*) n_lines, count(*) filter (where gone) n_dropped, coalesce(string_agg(line, chr(10) order by i) filter (where not gone), '') kept from m group by doc_id)
