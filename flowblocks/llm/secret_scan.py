@@ -6,9 +6,9 @@ with that content. Repeated rows share a blob; an empty table leaves the ledger
 """
 from __future__ import annotations
 
-import hashlib
 import math
 import re
+import zlib
 from collections import Counter
 
 from pyspark.sql import DataFrame
@@ -95,14 +95,22 @@ def scan(paths: DataFrame, pending: DataFrame, path: str = "doc_id", text: str =
         for b in batches:
             blobs, names, found = [], [], []
             for body, blob, due in zip(b.column(0), b.column(1).to_pylist(), b.column(2).to_pylist()):
-                body = body.as_py() or ""
+                body = zlib.decompress(body.as_py()).decode()
                 for name in due:
                     blobs.append(blob)
                     names.append(name)
                     found.append([{"kind": k, "s": s, "e": e} for k, s, e in scanners[name](body)])
             yield pa.RecordBatch.from_arrays([pa.array(blobs, pa.string()), pa.array(names, pa.string()), pa.array(found, kind)], ["blob", "rule", "findings"])
 
-    todo = paths.select(F.col(path).alias("path"), F.col(text).alias("body")).join(pending, "path").select("body", "blob", "rules")
+    def pack(batches):
+        import pyarrow as pa
+
+        for b in batches:  # what the join moves is compressed first
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([zlib.compress((t.as_py() or "").encode(), 1) for t in b.column(1)], pa.binary())], ["path", "body"])
+
+    kind = paths.schema[path].dataType.simpleString()
+    packed = paths.select(F.col(path).alias("path"), F.col(text).alias("body")).mapInArrow(pack, f"path {kind}, body binary")
+    todo = packed.join(pending, "path").select("body", "blob", "rules")
     return todo.mapInArrow(run, f"blob string, rule string, findings {FINDING}").dropDuplicates(["blob", "rule"])
 
 
