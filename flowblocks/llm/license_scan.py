@@ -7,8 +7,6 @@ places are counted before suppression and their labels always stay. Null or empt
 """
 from __future__ import annotations
 
-import json
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -73,8 +71,8 @@ def places(norm: Column, pattern: Column) -> Column:
 
 def detections(norm: Column, table: list[tuple[str, str, str, int, float]]) -> Column:
     """Matches of the rules whose keyword occurs. The table is one constant, so the plan does not grow with the rules."""
-    rows = json.dumps([dict(zip(("label", "key", "pattern", "priority", "confidence"), r)) for r in table])
-    known = F.from_json(F.lit(rows), "array<struct<label:string,key:string,pattern:string,priority:int,confidence:double>>")
+    names = ("label", "key", "pattern", "priority", "confidence")
+    known = F.array(*[F.struct(*[F.lit(x).alias(c) for c, x in zip(names, r)]) for r in table])
     due = F.filter(known, lambda r: F.contains(norm, r["key"]))
     named = lambda r: F.transform(places(norm, r["pattern"]), lambda x: F.struct(r["label"].alias("label"), x["s"].alias("s"), x["e"].alias("e"), r["priority"].alias("priority"), r["confidence"].alias("confidence")))
     return F.when(norm.isNotNull(), F.flatten(F.transform(due, named)).cast(HIT)).otherwise(F.array().cast(HIT))
