@@ -1 +1,165 @@
-QUERIES, ORACLES = {}, {}
+"""Registered queries of the block miner and the SQL that states the same."""
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from .operators import cells as C
+from .operators import flow, graph
+from .plans import approx, mine, rank
+from .sources import trips
+from .streaming import cells as stream
+
+NETS = {"freight": (25, 12), "zones": (100, 12), "clicks": (25, 48), "returns": (25, 27)}
+_LINES = "from lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join supplier on l_suppkey = s_suppkey"
+TRIPS_SQL = {
+    "freight": f"select s_nationkey o, c_nationkey d, month(o_orderdate) - 1 t, l_quantity::bigint pax {_LINES}",
+    "zones": f"select (s_nationkey * 4 + s_suppkey % 4)::int o, (c_nationkey * 4 + c_custkey % 4)::int d, month(o_orderdate) - 1 t, l_quantity::bigint pax {_LINES}",
+    "returns": f"select s_nationkey o, c_nationkey d, (dayofyear(o_orderdate) - 1) // 14 t, 50 + (l_orderkey * 7 + l_linenumber * 13) % 151 pax {_LINES} where l_returnflag = 'R'",
+    "clicks": "select o, d, hour(ts) * 2 + minute(ts) // 30 t, pax from (select k o, lead(k) over (partition by user_id order by ts, event_id) d, ts, round(value * 100)::bigint pax from (select *, cast(json_extract_string(props, '$.k') as int) // 4 k from events))",
+}
+GRID = "n as (select n_nationkey v, n_regionkey c, row_number() over (partition by n_regionkey order by n_nationkey) r from nation), e as (select a.v u, b.v w from n a join n b on (a.c = b.c and abs(a.r - b.r) = 1) or (a.r = b.r and abs(a.c - b.c) = 1))"
+DENSE = "e as (select a.n_nationkey u, b.n_nationkey w from nation a join nation b on a.n_nationkey <> b.n_nationkey and abs(a.n_regionkey - b.n_regionkey) <= 1)"
+PATH = "e as (select a.i u, b.i w from range(25) a(i) join range(25) b(i) on abs(a.i - b.i) = 1)"
+EDGES = {"freight": GRID, "returns": DENSE, "clicks": PATH}
+
+
+def cells_sql(net: str, where: str = "true") -> str:
+    return f"select o::int o, d::int d, t::int t, sum(pax)::bigint flow from ({TRIPS_SQL[net]}) where o <> d and pax > 0 and d is not null and {where} group by 1, 2, 3"
+
+
+def hot_sql(net: str, share: tuple[int, int], where: str = "true") -> str:
+    a, b = share
+    return f"cells as ({cells_sql(net, where)}), hot as (select o, d, t from cells where flow >= (select min(flow) from (select flow, row_number() over (order by flow desc) k from cells) where k <= greatest(1, {a} * (select count(*) from cells) // {b})))"
+
+
+def levels_sql(net, share, ratio, bounds, rank_k=None, max_level=None, where="true") -> str:
+    """One common table for each level, counted from scratch against the hot cells."""
+    (p, q), (bo, bd, bt), slots = ratio, bounds, NETS[net][1]
+    size = lambda m: f"bit_count({m})"
+    ctes = [hot_sql(net, share, where), EDGES[net], "adj as (select u::int u, bit_or(1::bigint << w::int) m from e group by u)", "l3 as (select 1::bigint << o om, 1::bigint << d dm, t lo, t hi, 1::bigint cnt, 1::bigint card from hot)"]
+    last = max_level or bo + bd + bt
+    for k in range(4, last + 1):
+        ctes.append(
+            f"c{k} as (select om | (1::bigint << u) om, dm, lo, hi from l{k - 1}, adj where m & om <> 0 and ((om | dm) >> u) & 1 = 0 and {size('om')} < {bo} union select om, dm | (1::bigint << u), lo, hi from l{k - 1}, adj where m & dm <> 0 and ((om | dm) >> u) & 1 = 0 and {size('dm')} < {bd}"
+            f" union select om, dm, lo - 1, hi from l{k - 1} where lo > 0 and hi - lo + 1 < {bt} union select om, dm, lo, hi + 1 from l{k - 1} where hi < {slots - 1} and hi - lo + 1 < {bt})"
+        )
+        body = f"select om, dm, lo, hi, count(*)::bigint cnt, (any_value({size('om')}) * any_value({size('dm')}) * any_value(hi - lo + 1))::bigint card from c{k} join hot on (om >> o) & 1 = 1 and (dm >> d) & 1 = 1 and t between lo and hi group by om, dm, lo, hi"
+        ctes.append(f"l{k} as ({body} having count(*) * {q} >= any_value({size('om')}) * any_value({size('dm')}) * any_value(hi - lo + 1) * {p})")
+    every = " union all ".join(f"select {k} as level, * from l{k}" for k in range(3, last + 1))
+    return "with " + ", ".join(ctes) + f", blocks as ({every}), named as (select level::int as level, {_names('om')} o, {_names('dm')} d, lo::int t_lo, hi::int t_hi, cnt, card from blocks) "
+
+
+def _names(mask: str) -> str:
+    return f"array_to_string(list_filter(range(25), lambda i: ({mask} >> i::int) & 1 = 1), ',')"
+
+
+def net(spark, sf_dir, name):
+    n, slots = NETS[name]
+    g = {"freight": lambda: graph.from_edges(graph.grid_edges(spark, sf_dir), n), "returns": lambda: graph.from_edges(graph.dense_edges(spark, sf_dir), n), "clicks": lambda: graph.path(n), "zones": lambda: graph.square(10)}[name]()
+    return C.aggregate(getattr(trips, name)(spark, sf_dir)), g, slots
+
+
+def mined(name, s_a, s_r, bounds, mode="packed", domain=None, shape=None):
+    def run(spark, sf_dir):
+        cells, g, slots = net(spark, sf_dir, name)
+        cells = domain.filter(cells) if domain else cells
+        hot = C.hot(cells, s_a)
+        if shape:
+            return mine.flat(mine.exact_shape(hot, g, slots, s_r, shape, mode))
+        return mine.flat(mine.enumerate_blocks(hot, g, slots, s_r, mode, bounds, domain).df)
+
+    return run
+
+
+QUERIES: dict = {}
+ORACLES: dict[str, str] = {}
+
+
+def add(name, fn, sql=None):
+    QUERIES[name] = fn
+    if sql:
+        ORACLES[name] = sql
+
+
+for _n in NETS:
+    add(f"cells_{_n}", lambda s, d, n=_n: net(s, d, n)[0], cells_sql(_n))
+    add(f"hot_{_n}", lambda s, d, n=_n: C.hot(net(s, d, n)[0], "0.05"), f"with {hot_sql(_n, (1, 20))} select * from hot")
+add("graph_grid_edges", graph.grid_edges, f"with {GRID} select u, w v from e")
+add("graph_dense_edges", graph.dense_edges, f"with {DENSE} select u, w v from e")
+_ALL = "select * from named"
+for _m in mine.MODES:
+    add(f"mine_freight_{_m}", mined("freight", "0.05", "0.5", (2, 2, 2), _m), levels_sql("freight", (1, 20), (1, 2), (2, 2, 2)) + _ALL)
+add("mine_freight_333", mined("freight", "0.05", "0.5", (3, 3, 3)), levels_sql("freight", (1, 20), (1, 2), (3, 3, 3)) + _ALL)
+add("mine_freight_sr06", mined("freight", "0.05", "0.6", (3, 3, 3)), levels_sql("freight", (1, 20), (3, 5), (3, 3, 3)) + _ALL)
+add("mine_clicks", mined("clicks", "0.05", "0.5", (3, 3, 3)), levels_sql("clicks", (1, 20), (1, 2), (3, 3, 3)) + _ALL)
+add("mine_returns", mined("returns", "0.01", "0.5", (2, 2, 2)), levels_sql("returns", (1, 100), (1, 2), (2, 2, 2)) + _ALL)
+add("mine_zones_222", mined("zones", "0.01", "0.5", (2, 2, 2)))
+for _i, _side in enumerate("odt"):
+    for _b in (1, 3):
+        _bounds = tuple(_b if j == _i else 2 for j in range(3))
+        add(f"bounded_{_side}{_b}", mined("freight", "0.05", "0.5", _bounds), levels_sql("freight", (1, 20), (1, 2), _bounds) + _ALL)
+_DOM = mine.Domain([0, 1, 5, 6, 10], None, 2, 8)
+
+add("constrained_local", mined("freight", "0.1", "0.5", (2, 2, 2), domain=_DOM))
+add("exact_shape_222", mined("freight", "0.1", "0.5", None, shape=(2, 2, 2)), levels_sql("freight", (1, 10), (1, 2), (2, 2, 2)) + "select level, o, d, t_lo, t_hi, cnt, card from named where level = 6")
+
+
+def ranked(mode):
+    def run(spark, sf_dir):
+        cells, g, slots = net(spark, sf_dir, "freight")
+        return mine.flat(rank.enumerate_top(C.hot(cells, "0.1"), g, slots, 100, 7, mode)[0])
+
+    return run
+
+
+for _k, _m in (("naive", "plain"), ("opt", "full"), ("threshold", "threshold")):
+    add(f"rank_{_k}", ranked(_m))
+
+
+def approximate(kind):
+    def run(spark, sf_dir):
+        cells, g, slots = net(spark, sf_dir, "freight")
+        hot, shape = C.hot(cells, "0.1"), (2, 2, 2)
+        found = approx.uniform(hot, g, slots, "0.5", shape, 1512)[0] if kind == "uniform" else approx.weighted(hot, g, slots, "0.5", shape, 137)
+        return mine.flat(found)
+
+    return run
+
+
+def approx_recall(spark, sf_dir):
+    cells, g, slots = net(spark, sf_dir, "freight")
+    hot, shape = C.hot(cells, "0.1"), (2, 2, 2)
+    exact = mine.durable(mine.exact_shape(hot, g, slots, "0.5", shape))
+    rows = [approx.accuracy(f, exact).withColumn("method", F.lit(m)) for m, f in (("uniform", approx.uniform(hot, g, slots, "0.5", shape, 1512)[0]), ("weighted", approx.weighted(hot, g, slots, "0.5", shape, 137)))]
+    return rows[0].unionByName(rows[1])
+
+
+add("approx_uniform", approximate("uniform"))
+add("approx_weighted", approximate("weighted"))
+add("approx_recall", approx_recall)
+add("approx_weights", lambda s, d: approx.weights(C.hot(net(s, d, "freight")[0], "0.1")), f"with {hot_sql('freight', (1, 10))} select 'o' kind, o v, count(*) w from hot group by 2 union all select 'd', d, count(*) from hot group by 2 union all select 't', t, count(*) from hot group by 2")
+add("outflow", lambda s, d: flow.outflow(net(s, d, "freight")[0], [0, 5], 0, 2), f"select d, sum(flow)::bigint flow from ({cells_sql('freight')}) where o in (0, 5) and d not in (0, 5) and t between 0 and 2 group by d")
+add("inflow", lambda s, d: flow.inflow(net(s, d, "freight")[0], [0, 5], 0, 2), f"select o, sum(flow)::bigint flow from ({cells_sql('freight')}) where d in (0, 5) and o not in (0, 5) and t between 0 and 2 group by o")
+add("flow_cube", lambda s, d: flow.cube(net(s, d, "freight")[0]), f"select o, d, t, sum(flow)::bigint flow, grouping(o, d, t)::int gid from ({cells_sql('freight')}) group by cube (o, d, t)")
+
+
+def usecase_freight(spark, sf_dir):
+    """Fixed origin, the first quarter: destination regions by hot cells, then flow."""
+    cells, g, slots = net(spark, sf_dir, "freight")
+    dom = mine.Domain([0], None, 0, 2)
+    own = dom.filter(cells)
+    return mine.flat(flow.block_flow(mine.enumerate_blocks(C.hot(own, "0.3"), g, slots, "0.5", bounds=(1, 3, 3), domain=dom).df, own))
+
+
+def maximal_blocks(spark, sf_dir):
+    cells, g, slots = net(spark, sf_dir, "freight")
+    return mine.flat(mine.maximal(mine.durable(mine.enumerate_blocks(C.hot(cells, "0.05"), g, slots, "0.5", bounds=(2, 2, 2)).df)))
+
+
+add("usecase_freight", usecase_freight)
+add("maximal_blocks", maximal_blocks)
+add("stream_cells_tumbling", lambda s, d: stream.tumbling(trips.hops(s, d).where("o <> d and pax > 0").withColumn("ts", F.col("ts").cast("timestamp"))).withColumn("start", F.date_format("start", "yyyy-MM-dd HH:mm")))
+
+
+def flagship(spark, sf_dir):
+    return mined("freight", "0.05", "0.5", (2, 2, 2))(spark, sf_dir)
