@@ -21,7 +21,8 @@ from .word_stream import windows, words
 WINDOW, LITERAL, SHORTEST, BLOCK = 13, 8, 6, 2_000_000
 _SPLIT = np.ones(256, bool)
 _SPLIT[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = False
-_STOP = frozenset(b".!?:;\n\r\"")
+_STOP = np.zeros(256, bool)
+_STOP[[*b".!?:;\n\r\""]] = True
 #: Fixed units of measure.
 UNITS = "mm cm m km in ft yd mi mg g kg lb oz ml l s sec min h hr hours minutes seconds days weeks months years km/h mph hz khz mhz ghz w kw kwh v a j kj cal kcal usd eur dollars euros cents percent meters metres miles kilometers kilometres grams kilograms pounds liters litres".split()
 _UNIT = np.unique(words(" ".join(UNITS).encode(), _SPLIT)[0])
@@ -35,16 +36,16 @@ def canonical(text: str | None):
     if not len(h):
         return h, np.zeros(0, bool), h
     b = np.frombuffer(raw, np.uint8)
-    digit = (b >= 48) & (b <= 57)
-    number = np.add.reduceat(digit, s) >= 1 if len(s) else digit[:0]
-    number = digit[s] & number
+    first = b[s]
+    number = (first >= 48) & (first <= 57)
     second = b[np.minimum(s + 1, len(b) - 1)]
-    name = (b[s] >= 65) & (b[s] <= 90) & (e - s > 1) & (second >= 97) & (second <= 122)
-    start = np.array([True] + [False] * (len(s) - 1))
-    for i in np.flatnonzero(name):  # capitals are few: look at what stands before each
-        start[i] = i == 0 or any(c in _STOP for c in raw[e[i - 1] : s[i]])
-    name &= ~start
-    unit = np.concatenate([[False], number[:-1]]) & np.isin(h, _UNIT)
+    name = (first >= 65) & (first <= 90) & (e - s > 1) & (second >= 97) & (second <= 122)
+    at = np.flatnonzero(name)
+    stops = np.flatnonzero(_STOP[b])  # a capital after one of these, or in front, opens a sentence
+    name[at[(at == 0) | (np.searchsorted(stops, s[at]) > np.searchsorted(stops, e[at - 1]))]] = False
+    unit = np.zeros(len(h), bool)
+    after = np.flatnonzero(number[:-1]) + 1
+    unit[after] = np.isin(h[after], _UNIT)
     return np.where(number, _NUM, np.where(unit, _UNITS, np.where(name, _NAME, h))), ~(number | unit | name), h
 
 
@@ -60,6 +61,24 @@ def template_windows(text: str | None):
     return w[ok], ok, raw, literal, n
 
 
+class Known:
+    """Window hashes of a block; a bitmap of their top bits turns most windows away before the binary search."""
+
+    def __init__(self, hashes: np.ndarray):
+        self.hashes = np.unique(hashes)
+        self.shift = np.uint64(64 - max(12, min(24, 4 + len(self.hashes).bit_length())))
+        self.top = np.zeros(1 << (64 - int(self.shift)), bool)
+        self.top[(self.hashes >> self.shift).astype(np.int64)] = True
+
+    def met(self, w: np.ndarray) -> list[int]:
+        """Places of w that hold a known hash."""
+        at = np.flatnonzero(self.top[(w >> self.shift).astype(np.int64)])
+        if not len(at):
+            return []
+        near = np.minimum(np.searchsorted(self.hashes, w[at]), len(self.hashes) - 1)
+        return at[self.hashes[near] == w[at]].tolist()
+
+
 def consistent(doc: np.ndarray, item: np.ndarray, literal: np.ndarray) -> bool:
     """Whether slot values pair off one to one."""
     there, back = {}, {}
@@ -81,7 +100,7 @@ def match(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
             sizes.add(n) if len(w) else None
             for h, i in zip(w.tolist(), at.tolist()):
                 table.setdefault(h, []).append((item, raw[i : i + n], literal[i : i + n]))
-        shared = spark.sparkContext.broadcast((np.array(sorted(table), np.uint64), table, sorted(sizes)))
+        shared = spark.sparkContext.broadcast((Known(np.array(list(table), np.uint64)), table, sorted(sizes)))
 
         def run(batches):
             import pyarrow as pa
@@ -94,7 +113,7 @@ def match(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
                     found: dict[int, list[int]] = {}
                     for n in lengths:
                         w = windows(c, n)
-                        for i in np.flatnonzero(np.isin(w, known)).tolist() if len(w) else ():
+                        for i in known.met(w):
                             for item, own, literal in places[int(w[i])]:
                                 if len(own) == n and consistent(raw[i : i + n], own, literal):
                                     got = found.setdefault(item, [0, 0])
@@ -110,7 +129,7 @@ def match(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         block.append((r[0], r[1]))
         held += len(r[1]) // 2
         if held >= BLOCK:
-            out, block, held = (m := meet(block)) if out is None else out.union(m if (m := meet(block)) else m), [], 0
+            out, block, held = meet(block) if out is None else out.union(meet(block)), [], 0
     if block or out is None:
         out = meet(block) if out is None else out.union(meet(block))
     return out
