@@ -10,9 +10,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-#: The same words before A-Z are lower-cased.
-ANY_CASE = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
+#: What lies between words once A-Z are lower-cased.
+GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]++"
 #: Fixed phrases of the contract.
 BASE = [("gpl", "gnu general public license"), ("apache", "apache license"), ("cc-by", "cc by"), ("mit", "mit license")]
 LEVELS = 4
@@ -69,13 +68,20 @@ def places(norm: Column, pattern: Column) -> Column:
     return F.aggregate(pairs, zero, step, lambda acc: acc["out"])
 
 
+def due(norm: Column, table: list[tuple[str, str, str, int, float]]) -> Column:
+    """The rules whose keyword occurs as a word. The table is one constant, so the plan does not grow with the rules; a
+    keyword is looked up once for all its rules."""
+    names = ("label", "pattern", "priority", "confidence")
+    row = lambda r: F.struct(*[F.lit(x).alias(c) for c, x in zip(names, (r[0], *r[2:]))])
+    keys = sorted({r[1] for r in table})
+    known = F.array(*[F.struct(F.lit(f" {k} ").alias("key"), F.array(*[row(r) for r in table if r[1] == k]).alias("rules")) for k in keys])
+    return F.flatten(F.transform(F.filter(known, lambda k: F.contains(norm, k["key"])), lambda k: k["rules"]))
+
+
 def detections(norm: Column, table: list[tuple[str, str, str, int, float]]) -> Column:
-    """Matches of the rules whose keyword occurs. The table is one constant, so the plan does not grow with the rules."""
-    names = ("label", "key", "pattern", "priority", "confidence")
-    known = F.array(*[F.struct(*[F.lit(x).alias(c) for c, x in zip(names, r)]) for r in table])
-    due = F.filter(known, lambda r: F.contains(norm, r["key"]))
+    """Matches of the rules that are due."""
     named = lambda r: F.transform(places(norm, r["pattern"]), lambda x: F.struct(r["label"].alias("label"), x["s"].alias("s"), x["e"].alias("e"), r["priority"].alias("priority"), r["confidence"].alias("confidence")))
-    return F.when(norm.isNotNull(), F.flatten(F.transform(due, named)).cast(HIT)).otherwise(F.array().cast(HIT))
+    return F.flatten(F.transform(due(norm, table), named)).cast(HIT)
 
 
 def suppressed(found: Column) -> Column:
@@ -92,15 +98,19 @@ def suppressed(found: Column) -> Column:
     return F.when(F.size(found) > 0, F.aggregate(order, zero, keep, lambda acc: acc["out"])).otherwise(F.array().cast(HIT))
 
 
+def lowered(text: Column) -> Column:
+    """A-Z in lower case. lower() changes other letters too, but of those only the Kelvin sign becomes an ASCII letter."""
+    return F.when(F.contains(text, F.lit("\u212a")), F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")).otherwise(F.lower(text))
+
+
 def scan_licenses(docs: DataFrame) -> DataFrame:
     """doc_id, n_words, base detections and kept detections; one pass without a shuffle."""
     base = [(label, phrase.split(" ")[0], f"{phrase} ", 1, 0.7) for label, phrase in BASE]
-    gate = "|".join(sorted({r[1] for r in rules() + base}))
-    text = F.coalesce("text", F.lit(""))
-    low = F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-    norm = F.concat(F.lit(" "), F.array_join(F.regexp_extract_all(low, F.lit(WORD), F.lit(0)), " "), F.lit(" "))
-    words = docs.select("doc_id", F.regexp_count(text, F.lit(ANY_CASE)).cast("bigint").alias("n_words"), F.when(text.rlike(f"(?i){gate}"), norm).alias("norm"))
-    found = words.select("doc_id", "n_words", detections(F.col("norm"), base).alias("base"), detections(F.col("norm"), rules()).alias("more"))
+    bare = F.trim(F.regexp_replace(lowered(F.coalesce("text", F.lit(""))), GAP, " "))
+    words = docs.select("doc_id", F.concat(F.lit(" "), bare, F.lit(" ")).alias("norm"))
+    blanks = F.length("norm") - F.length(F.replace(F.col("norm"), F.lit(" "), F.lit("")))
+    n_words = F.when(F.col("norm") == "  ", 0).otherwise(blanks - 1).cast("bigint").alias("n_words")
+    found = words.select("doc_id", n_words, detections(F.col("norm"), base).alias("base"), detections(F.col("norm"), rules()).alias("more"))
     return found.select("doc_id", "n_words", "base", suppressed(F.concat("base", "more")).alias("kept"))
 
 
