@@ -3,7 +3,7 @@
 First neighbours come from TABLES orders by random sign codes, where each vector meets the next SPAN of its label; then
 every vector compares the neighbours of its list with one another (both directions, lists of LIST), for ROUNDS rounds.
 Edges at the threshold form components; a saturated list is enlarged to the whole component, which tiles of TILE vectors compare
-in blocks, so links are counted without a row for each pair. Null, zero, ragged or non-finite vectors and null labels link with nothing.
+in blocks, so links are counted without a row for each pair. Exact copies are one vector with a weight from the start. Null, zero, ragged or non-finite vectors and null labels link with nothing.
 """
 from __future__ import annotations
 
@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 from .common import components, durable
 
 THRESHOLD, TABLES, BITS, SPAN, LIST, ROUNDS, TILE = 0.93, 16, 24, 6, 10, 2, 512
+#: Pairs below NEAR enter no list; big components are dealt by SALT keys each.
+NEAR, SALT = 0.8, 32
 
 
 def unit_vectors(rows: DataFrame) -> DataFrame:
@@ -27,9 +29,12 @@ def unit_vectors(rows: DataFrame) -> DataFrame:
     return v.withColumn("norm", norm).select("id", "label", F.transform("v", lambda x: x / F.col("norm")).alias("unit"))
 
 
-def matrix(column) -> np.ndarray:
-    n = len(column)
-    return np.asarray(column.flatten(), np.float64).reshape(n, -1) if n else np.zeros((0, 0))
+def padded(column) -> tuple[np.ndarray, np.ndarray]:
+    """(vectors padded with zeros to the longest, their dimensions) of an Arrow list column."""
+    dim = column.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    m = np.zeros((len(dim), int(dim.max(initial=0))))
+    m[np.arange(m.shape[1]) < dim[:, None]] = column.flatten().to_numpy(zero_copy_only=False)
+    return m, dim
 
 
 def same_sized(ids, labels, rows):
@@ -47,28 +52,30 @@ def first_edges(vec: DataFrame, parts: int) -> DataFrame:
 
         planes: dict[int, np.ndarray] = {}
         for b in batches:
-            rows = b.column(2).to_pylist()
-            out = np.zeros((len(rows), TABLES), np.int64)
-            for i, r in enumerate(rows):
-                p = planes.setdefault(len(r), np.random.default_rng(len(r)).standard_normal((len(r), TABLES * BITS)))
-                out[i] = ((np.array(r) @ p > 0).reshape(TABLES, BITS) @ (1 << np.arange(BITS)[::-1])).astype(np.int64)
+            m, dim = padded(b.column(2))
+            out = np.zeros((len(dim), TABLES), np.int64)
+            for d in np.unique(dim).tolist():
+                p = planes.setdefault(d, np.random.default_rng(d).standard_normal((d, TABLES * BITS)))
+                at = np.flatnonzero(dim == d)
+                out[at] = (m[at, :d] @ p > 0).reshape(len(at), TABLES, BITS) @ (1 << np.arange(BITS)[::-1])
             for t in range(TABLES):
-                yield pa.RecordBatch.from_arrays([pa.array([t] * len(rows), pa.int32()), pa.array(out[:, t]), b.column(0), b.column(1), b.column(2)], ["t", "code", "id", "label", "unit"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(dim), t, np.int32)), pa.array(out[:, t]), b.column(0), b.column(1), b.column(2)], ["t", "code", "id", "label", "unit"])
 
     def near(batches):
         import pyarrow as pa
 
         for b in batches:
-            keys, rows = list(zip(b.column(0).to_pylist(), b.column(3).to_pylist())), b.column(4).to_pylist()
-            ids, u, v, s = b.column(2).to_pylist(), [], [], []
-            for i in range(len(ids)):
-                for j in range(i + 1, min(len(ids), i + SPAN + 1)):
-                    if keys[i] == keys[j] and ids[i] != ids[j] and len(rows[i]) == len(rows[j]):
-                        u.append(ids[i])
-                        v.append(ids[j])
-            at = {d: i for i, d in enumerate(ids)}
-            s = [float(np.dot(rows[at[a]], rows[at[c]])) for a, c in zip(u, v)]
-            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64()), pa.array(s, pa.float64())], ["u", "v", "s"])
+            t, ids, label = (b.column(i).to_numpy(zero_copy_only=False) for i in (0, 2, 3))
+            m, dim = padded(b.column(4))
+            u, v, s = [ids[:0]], [ids[:0]], [np.zeros(0)]
+            for o in range(1, SPAN + 1):
+                x = np.flatnonzero((t[:-o] == t[o:]) & (label[:-o] == label[o:]) & (dim[:-o] == dim[o:]) & (ids[:-o] != ids[o:]))
+                c = np.einsum("ij,ij->i", m[x], m[x + o])
+                x, c = x[c >= NEAR], c[c >= NEAR]
+                u.append(ids[x])
+                v.append(ids[x + o])
+                s.append(c)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(k)) for k in (u, v, s)], ["u", "v", "s"])
 
     sorted_ = vec.mapInArrow(codes, "t int, code bigint, id bigint, label int, unit array<double>").repartitionByRange(parts, "t", "label", "code", "id").sortWithinPartitions("t", "label", "code", "id")
     return sorted_.mapInArrow(near, "u bigint, v bigint, s double")
@@ -81,7 +88,7 @@ def shorten(edges: DataFrame) -> DataFrame:
 
 
 def refine(lists: DataFrame, vec: DataFrame) -> DataFrame:
-    """Edges among the neighbours of each vector, better than EMIT."""
+    """Edges among the neighbours of each vector, of NEAR or more."""
 
     def local(batches):
         import pyarrow as pa
@@ -91,7 +98,7 @@ def refine(lists: DataFrame, vec: DataFrame) -> DataFrame:
             for around in b.column(0).to_pylist():
                 for ids, m in same_sized([x["id"] for x in around], [x["label"] for x in around], [x["unit"] for x in around]):
                     c = np.triu(m @ m.T, 1)
-                    for i, j in zip(*np.nonzero(c >= 0.8)):
+                    for i, j in zip(*np.nonzero(c >= NEAR)):
                         if ids[i] != ids[j]:
                             u.append(ids[i])
                             v.append(ids[j])
@@ -99,18 +106,21 @@ def refine(lists: DataFrame, vec: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64()), pa.array(s, pa.float64())], ["u", "v", "s"])
 
     # only lists that hold something near can lead to something near
-    live = lists.where("s >= 0.8")
+    live = lists.where(F.col("s") >= NEAR)
     back = live.withColumn("r", F.row_number().over(Window.partitionBy("v").orderBy(F.xxhash64("u")))).where(F.col("r") <= LIST).select(F.col("v").alias("a"), F.col("u").alias("id"))
     fans = live.select(F.col("u").alias("a"), F.col("v").alias("id")).union(back).distinct()
     return fans.join(vec, "id").groupBy("a").agg(F.collect_list(F.struct("id", "label", "unit")).alias("around")).select("around").mapInArrow(local, "u bigint, v bigint, s double")
 
 
 def count_links(member: DataFrame, threshold: float) -> DataFrame:
-    """id, n_links within components, by tiles of TILE vectors; a component of m vectors is read ceil(m / TILE) times."""
-    sized = member.groupBy("component").agg(F.count("*").alias("m"))
-    placed = member.join(sized, "component").withColumn("tiles", F.ceil(F.col("m") / TILE).cast("int")).withColumn("tile", F.pmod(F.xxhash64("id"), F.col("tiles")).cast("int"))
+    """id, n_links (sum of the weights linked with) within components, by tiles of TILE vectors; a component of m vectors is
+    read ceil(m / TILE) times. Only components beyond one tile are looked up, each under SALT keys."""
+    sized = member.groupBy("component").agg(F.count("*").alias("m")).where(F.col("m") > TILE)
+    sized = sized.select("component", "m", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("salt"))
+    dealt = member.withColumn("salt", F.pmod(F.xxhash64(F.lit("salt"), "id"), F.lit(SALT)).cast("int"))
+    placed = dealt.join(sized, ["component", "salt"], "left").withColumn("tiles", F.coalesce(F.ceil(F.col("m") / TILE), F.lit(1)).cast("int")).withColumn("tile", F.pmod(F.xxhash64("id"), F.col("tiles")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))
-    spread = placed.select("id", "label", "unit", "component", "tile", other.alias("with")).select("id", "label", "unit", "component", "tile", F.least("tile", "with").alias("x"), F.greatest("tile", "with").alias("y"))
+    spread = placed.select("id", "label", "unit", "w", "component", "tile", other.alias("with")).select("id", "label", "unit", "w", "component", "tile", F.least("tile", "with").alias("x"), F.greatest("tile", "with").alias("y"))
 
     def tile(key, pdf):
         import pandas as pd
@@ -124,27 +134,39 @@ def count_links(member: DataFrame, threshold: float) -> DataFrame:
             c = np.stack(a.unit) @ np.stack(b.unit).T >= threshold
             if x == y:
                 np.fill_diagonal(c, False)
-            found.append(pd.DataFrame({"id": a.id.to_numpy(), "n": c.sum(1)}))
+            found.append(pd.DataFrame({"id": a.id.to_numpy(), "n": c @ b.w.to_numpy()}))
             if x != y:
-                found.append(pd.DataFrame({"id": b.id.to_numpy(), "n": c.sum(0)}))
+                found.append(pd.DataFrame({"id": b.id.to_numpy(), "n": a.w.to_numpy() @ c}))
         return pd.concat(found) if found else pd.DataFrame({"id": pd.Series(dtype="int64"), "n": pd.Series(dtype="int64")})
 
     return spread.groupBy("component", "x", "y").applyInPandas(tile, "id bigint, n bigint").groupBy("id").agg(F.sum("n").alias("n_links"))
 
 
+def copies(vec: DataFrame) -> DataFrame:
+    """label, unit, id (the smallest), w: one row for each different vector of a label; repeated rows of an id count once."""
+    return vec.dropDuplicates(["id", "label", "unit"]).groupBy("label", "unit").agg(F.min("id").alias("id"), F.count("*").alias("w"))
+
+
 def near_duplicates(rows: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """vec_id, n_links, component_id, kept."""
-    vec = durable(unit_vectors(rows))
+    all_ = durable(unit_vectors(rows))
+    vec = durable(copies(all_))
     parts = max(1, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    lists = durable(shorten(first_edges(vec, parts)))
+    lists = durable(shorten(first_edges(vec.select("id", "label", "unit"), parts)))
     edges = lists.where(F.col("s") >= threshold).select("u", "v")
     for _ in range(ROUNDS):
-        found = durable(refine(lists, vec))
+        found = durable(refine(lists, vec.select("id", "label", "unit")))
         edges = edges.union(found.where(F.col("s") >= threshold).select("u", "v"))
         lists = durable(shorten(lists.union(found)))
     comp = durable(components(edges.distinct()))
     links = count_links(comp.join(vec, "id"), threshold)
-    out = rows.select("vec_id").join(comp.join(links, "id").select(F.col("id").alias("vec_id"), "component", "n_links"), "vec_id", "left")
+    linked = comp.join(links, "id")
+    # every different vector that has a copy or a link; its copies, found under SALT keys, share its result
+    own = vec.join(linked, "id", "left").where("w > 1 or component is not null").select("label", "unit", F.coalesce("component", "id").alias("component"), (F.coalesce("n_links", F.lit(0)) + F.col("w") - 1).alias("n_links"))
+    own = own.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
+    mine = all_.withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(SALT)).cast("int")).join(own, ["label", "unit", "salt"]).select(F.col("id").alias("vec_id"), "component", "n_links")
+    mine = mine.groupBy("vec_id").agg(F.min("component").alias("component"), F.max("n_links").alias("n_links"))
+    out = rows.select("vec_id").join(mine, "vec_id", "left")
     return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("bigint").alias("n_links"), F.coalesce("component", "vec_id").alias("component_id"), (F.coalesce("component", "vec_id") == F.col("vec_id")).alias("kept"))
 
 
