@@ -1,9 +1,11 @@
 """Embedding near-duplicates (operator 4) by NN-descent.
 
 First neighbours come from TABLES orders by random sign codes, where each vector meets the next SPAN of its label; then
-every vector compares the neighbours of its list with one another (both directions, lists of LIST), for ROUNDS rounds.
-Edges at the threshold form components; a saturated list is enlarged to the whole component, which tiles of TILE vectors compare
-in blocks, so links are counted without a row for each pair. Exact copies are one vector with a weight from the start. Null, zero, ragged or non-finite vectors and null labels link with nothing.
+every vector compares the neighbours of its lists with one another (both directions). Pairs at the threshold join
+components before any list is cut; a vector keeps the LIST best of its own component, as ways on, and the LIST best
+outside it, so near ones of its own never crowd out others. Rounds of new orders, where a code shows SHOWN vectors of a
+component, and of neighbours' neighbours go on, ROUNDS at least, until no component changes. Tiles of TILE vectors
+compare a component in blocks, so links are counted without a row for each pair. Exact copies are one vector with a weight from the start. Null, zero, ragged or non-finite vectors and null labels link with nothing.
 """
 from __future__ import annotations
 
@@ -16,6 +18,8 @@ from .common import components, durable
 THRESHOLD, TABLES, BITS, SPAN, LIST, ROUNDS, TILE = 0.93, 16, 24, 6, 10, 2, 512
 #: Pairs below NEAR enter no list; big components are dealt by SALT keys each.
 NEAR, SALT = 0.8, 32
+#: Vectors of a component that one code of an order shows from the second round on.
+SHOWN = 2
 
 
 def unit_vectors(rows: DataFrame) -> DataFrame:
@@ -46,7 +50,9 @@ def same_sized(ids, labels, rows):
         yield [ids[i] for i in at], np.array([rows[i] for i in at], np.float64)
 
 
-def first_edges(vec: DataFrame, parts: int) -> DataFrame:
+def first_edges(vec: DataFrame, parts: int, turn: int = 0) -> DataFrame:
+    """Pairs (u, v, s) of NEAR or more that meet in the orders of this turn; vec is (id, label, unit, component)."""
+
     def codes(batches):
         import pyarrow as pa
 
@@ -55,21 +61,30 @@ def first_edges(vec: DataFrame, parts: int) -> DataFrame:
             m, dim = padded(b.column(2))
             out = np.zeros((len(dim), TABLES), np.int64)
             for d in np.unique(dim).tolist():
-                p = planes.setdefault(d, np.random.default_rng(d).standard_normal((d, TABLES * BITS)))
+                p = planes.setdefault(d, np.random.default_rng(d if not turn else [d, turn]).standard_normal((d, TABLES * BITS)))
                 at = np.flatnonzero(dim == d)
                 out[at] = (m[at, :d] @ p > 0).reshape(len(at), TABLES, BITS) @ (1 << np.arange(BITS)[::-1])
+            ids = b.column(0).to_numpy(zero_copy_only=False).astype(np.uint64)
             for t in range(TABLES):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(dim), t, np.int32)), pa.array(out[:, t]), b.column(0), b.column(1), b.column(2)], ["t", "code", "id", "label", "unit"])
+                mixed = (ids + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15 + 2 * (t + turn * TABLES))  # another order within a component each time
+                mixed = ((mixed ^ (mixed >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(dim), t, np.int32)), pa.array(out[:, t]), b.column(3), pa.array(mixed), b.column(0), b.column(1), b.column(2)], ["t", "code", "component", "mixed", "id", "label", "unit"])
 
     def near(batches):
         import pyarrow as pa
 
         for b in batches:
-            t, ids, label = (b.column(i).to_numpy(zero_copy_only=False) for i in (0, 2, 3))
-            m, dim = padded(b.column(4))
+            t, code, comp, ids, label = (b.column(i).to_numpy(zero_copy_only=False) for i in (0, 1, 2, 4, 5))
+            m, dim = padded(b.column(6))
+            if turn:
+                again = np.zeros(len(t), bool)
+                again[SHOWN:] = (t[SHOWN:] == t[:-SHOWN]) & (label[SHOWN:] == label[:-SHOWN]) & (code[SHOWN:] == code[:-SHOWN]) & (comp[SHOWN:] == comp[:-SHOWN])
+                t, comp, ids, label, m, dim = (x[~again] for x in (t, comp, ids, label, m, dim))
             u, v, s = [ids[:0]], [ids[:0]], [np.zeros(0)]
             for o in range(1, SPAN + 1):
                 x = np.flatnonzero((t[:-o] == t[o:]) & (label[:-o] == label[o:]) & (dim[:-o] == dim[o:]) & (ids[:-o] != ids[o:]))
+                if turn:
+                    x = x[comp[x] != comp[x + o]]
                 c = np.einsum("ij,ij->i", m[x], m[x + o])
                 x, c = x[c >= NEAR], c[c >= NEAR]
                 u.append(ids[x])
@@ -77,14 +92,33 @@ def first_edges(vec: DataFrame, parts: int) -> DataFrame:
                 s.append(c)
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(k)) for k in (u, v, s)], ["u", "v", "s"])
 
-    sorted_ = vec.mapInArrow(codes, "t int, code bigint, id bigint, label int, unit array<double>").repartitionByRange(parts, "t", "label", "code", "id").sortWithinPartitions("t", "label", "code", "id")
+    order = ["t", "label", "code", "component", "mixed"]
+    sorted_ = vec.select("id", "label", "unit", "component").mapInArrow(codes, "t int, code bigint, component bigint, mixed bigint, id bigint, label int, unit array<double>").repartitionByRange(parts, *order).sortWithinPartitions(*order)
     return sorted_.mapInArrow(near, "u bigint, v bigint, s double")
 
 
-def shorten(edges: DataFrame) -> DataFrame:
-    """The LIST best of each u, both directions."""
-    both = edges.union(edges.select("v", "u", "s")).dropDuplicates(["u", "v"])
-    return both.withColumn("r", F.row_number().over(Window.partitionBy("u").orderBy(F.desc("s"), "v"))).where(F.col("r") <= LIST).select("u", "v", "s")
+def shorten(edges: DataFrame, comp: DataFrame) -> DataFrame:
+    """The LIST best of each u inside its component and the LIST best outside, both directions."""
+    both = edges.select("u", "v", "s").union(edges.select("v", "u", "s")).dropDuplicates(["u", "v"])
+    both = placed(both, comp).withColumn("own", F.col("cu") == F.col("cv"))
+    return both.withColumn("r", F.row_number().over(Window.partitionBy("u", "own").orderBy(F.desc("s"), "v"))).where(F.col("r") <= LIST).select("u", "v", "s")
+
+
+def placed(pairs: DataFrame, comp: DataFrame) -> DataFrame:
+    """pairs with the components cu and cv of their ends; an id without one is its own."""
+    for end in ("u", "v"):
+        pairs = pairs.join(comp.select(F.col("id").alias(end), F.col("component").alias(f"_{end}")), end, "left").withColumn(f"c{end}", F.coalesce(f"_{end}", end)).drop(f"_{end}")
+    return pairs
+
+
+def merged(comp: DataFrame, links: DataFrame) -> DataFrame | None:
+    """comp after these links (u, v), joined by component and not by member; None where they join nothing new."""
+    across = durable(placed(links, comp).where("cu <> cv").select("u", "v", "cu", "cv"))
+    if not across.limit(1).count():
+        return None
+    moved = durable(components(across.select(F.col("cu").alias("u"), F.col("cv").alias("v")).distinct()).select(F.col("id").alias("component"), F.col("component").alias("to")))
+    ends = across.select(F.col("u").alias("id"), F.col("cu").alias("component")).union(across.select("v", "cv"))
+    return durable(comp.union(ends).distinct().join(moved, "component", "left").select("id", F.coalesce("to", "component").alias("component")))
 
 
 def refine(lists: DataFrame, vec: DataFrame) -> DataFrame:
@@ -152,13 +186,19 @@ def near_duplicates(rows: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     all_ = durable(unit_vectors(rows))
     vec = durable(copies(all_))
     parts = max(1, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    lists = durable(shorten(first_edges(vec.select("id", "label", "unit"), parts)))
-    edges = lists.where(F.col("s") >= threshold).select("u", "v")
-    for _ in range(ROUNDS):
-        found = durable(refine(lists, vec.select("id", "label", "unit")))
-        edges = edges.union(found.where(F.col("s") >= threshold).select("u", "v"))
-        lists = durable(shorten(lists.union(found)))
-    comp = durable(components(edges.distinct()))
+    near = durable(first_edges(vec.withColumn("component", F.col("id")), parts))
+    hits = near.where(F.col("s") >= threshold)
+    comp = durable(components(hits))
+    lists = durable(shorten(near, comp))
+    turn, changed = 0, True
+    while turn < ROUNDS or changed:
+        turn += 1
+        shown = vec.join(comp, "id", "left").select("id", "label", "unit", F.coalesce("component", "id").alias("component"))
+        found = durable(refine(lists, vec.select("id", "label", "unit")).union(first_edges(shown, parts, turn)))
+        more = merged(comp, found.where(F.col("s") >= threshold))
+        changed, comp = more is not None, comp if more is None else more
+        if turn < ROUNDS or changed:
+            lists = durable(shorten(lists.union(found), comp))
     links = count_links(comp.join(vec, "id"), threshold)
     linked = comp.join(links, "id")
     # every different vector that has a copy or a link; its copies, found under SALT keys, share its result

@@ -133,3 +133,37 @@ def test_pii(spark, odd):
     assert ("phone", "+1 (605) 555-9305") in kinds and ("card", "4078918989542222") in kinds
     r = {x.doc_id: x for x in pii.find_pii(odd).collect()}
     assert r[1].base_sha256 == hashlib.sha256(b"").hexdigest() and r[1].spans == ""
+
+
+def brute(ids, m, threshold):
+    """{id: (links, component)} of all pairs."""
+    import numpy as np
+
+    m = m / np.linalg.norm(m, axis=1, keepdims=True)
+    a = m @ m.T >= threshold
+    np.fill_diagonal(a, False)
+    root = list(range(len(ids)))
+    while True:
+        new = [min([root[i], *(root[j] for j in np.flatnonzero(a[i]))]) for i in range(len(ids))]
+        if new == root:
+            return {ids[i]: (int(a[i].sum()), ids[root[i]]) for i in range(len(ids))}
+        root = new
+
+
+def nested(seed, groups=12, size=14, cross=0.94, dim=64):
+    """Tight sub-groups around centres whose cosines with one another are about `cross`."""
+    import numpy as np
+
+    rng = np.random.default_rng(seed)
+    unit = lambda x: x / np.linalg.norm(x, axis=-1, keepdims=True)
+    centre = np.sqrt(cross) * unit(rng.standard_normal(dim)) + np.sqrt(1 - cross) * unit(rng.standard_normal((groups, dim)))
+    return (unit(centre)[:, None] + 0.004 * unit(rng.standard_normal((groups, size, dim)))).reshape(-1, dim)
+
+
+def test_links_across_tight_groups_equal_brute_force(spark):
+    import numpy as np
+
+    m = np.concatenate([nested(1), nested(2)]).astype(np.float32)
+    rows = [(i, [float(x) for x in v], 1) for i, v in enumerate(m)]
+    got = {r.vec_id: (r.n_links, r.component_id) for r in embedding_neardup.near_duplicates(spark.createDataFrame(rows, "vec_id bigint, embedding array<float>, label int")).collect()}
+    assert got == brute(range(len(m)), m.astype(float), embedding_neardup.THRESHOLD)
