@@ -106,11 +106,14 @@ def scan(paths: DataFrame, pending: DataFrame, path: str = "doc_id", text: str =
         import pyarrow as pa
 
         for b in batches:  # what the join moves is compressed first
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([zlib.compress((t.as_py() or "").encode(), 1) for t in b.column(1)], pa.binary())], ["path", "body"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([zlib.compress((t.as_py() or "").encode(), 1) for t in b.column(2)], pa.binary())], ["path", "blob", "body"])
 
     kind = paths.schema[path].dataType.simpleString()
-    packed = paths.select(F.col(path).alias("path"), F.col(text).alias("body")).mapInArrow(pack, f"path {kind}, body binary")
-    todo = packed.join(pending, "path").select("body", "blob", "rules")
+    blob = F.sha2(F.coalesce(F.col(text), F.lit("")).cast("binary"), 256)
+    packed = paths.select(F.col(path).alias("path"), blob.alias("blob"), F.col(text).alias("body")).mapInArrow(pack, f"path {kind}, blob string, body binary")
+    # a path may hold several texts and may be null: only the row that holds the blob stands for it
+    due = pending.select(F.col("path").alias("_path"), F.col("blob").alias("_blob"), "rules")
+    todo = packed.join(due, (F.col("blob") == F.col("_blob")) & F.col("path").eqNullSafe(F.col("_path"))).select("body", "blob", "rules")
     return todo.mapInArrow(run, f"blob string, rule string, findings {FINDING}").dropDuplicates(["blob", "rule"])
 
 

@@ -167,3 +167,12 @@ def test_links_across_tight_groups_equal_brute_force(spark):
     rows = [(i, [float(x) for x in v], 1) for i, v in enumerate(m)]
     got = {r.vec_id: (r.n_links, r.component_id) for r in embedding_neardup.near_duplicates(spark.createDataFrame(rows, "vec_id bigint, embedding array<float>, label int")).collect()}
     assert got == brute(range(len(m)), m.astype(float), embedding_neardup.THRESHOLD)
+
+
+def test_each_version_of_a_path_is_scanned_under_its_own_blob(spark, tmp_path):
+    secret = "token = abcdefghijkl1"
+    data = [(i, t) for i in range(20) for t in (secret + f" of {i}", f"nothing to see in {i}")] + [(None, "password: mnopqrstuvwx2")]
+    t = spark.createDataFrame(data, DOCS)
+    got = [(r.path, len(r.findings)) for r in secret_scan.update(t, str(tmp_path / "ledger")).collect()]
+    assert sorted(got, key=str) == sorted([(i, n) for i in range(20) for n in (0, 1)] + [(None, 1)], key=str)
+    assert sorted(len(r.findings) for r in secret_scan.find_secrets(t).collect()) == [0] * 20 + [1] * 21
