@@ -1,9 +1,9 @@
 """Personal data (operator 10): a semi-Markov conditional random field over whole candidate segments.
 
-Cheap triggers mark regions of a text (a token around `@`, a chain of digit runs). Inside a region the atoms are digit
-runs and the marks between them; a segment is a run of at most LONGEST atoms, its features describe the whole span, and
-one Viterbi pass chooses boundaries and types together. Matches of the fixed base patterns are spans in their own right
-and always stay. Null text is empty; overlapping kinds are all reported; offsets are code points. Work is linear in
+A chain of digit runs is a region of a text. Inside a region, whatever its length, the atoms are digit runs and the marks
+between them; a segment is a run of at most LONGEST atoms, its features describe the whole span, and
+one Viterbi pass chooses boundaries and types together. E-mail is no label of the model but left to its base pattern.
+Matches of the fixed base patterns are spans in their own right and always stay. Null text is empty; overlapping kinds are all reported; offsets are code points. Work is linear in
 the text: every pattern is anchored at a run's start.
 """
 from __future__ import annotations
@@ -16,7 +16,7 @@ import re
 from pyspark.sql import DataFrame
 
 KINDS = ("email", "ip", "card", "phone")
-LONGEST, WINDOW = 12, 400
+LONGEST = 12
 EMAIL_TAIL = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 LOCAL = re.compile(r"[A-Za-z0-9._%+-]+@")
 IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
@@ -177,8 +177,7 @@ def method_spans(text: str, model: SemiMarkov) -> list[tuple[str, int, int]]:
         if m.end() - m.start() < 7:
             continue
         atoms = atoms_of(text, *m.span())
-        for at in range(0, len(atoms), WINDOW):  # regions beyond WINDOW atoms are decoded in turn
-            out += [x for x in model.decode(text, atoms[at : at + WINDOW]) if x[0] != "card" or luhn(bare(text[x[1] : x[2]]))]
+        out += [x for x in model.decode(text, atoms) if x[0] != "card" or luhn(bare(text[x[1] : x[2]]))]
     return out
 
 

@@ -176,3 +176,13 @@ def test_each_version_of_a_path_is_scanned_under_its_own_blob(spark, tmp_path):
     got = [(r.path, len(r.findings)) for r in secret_scan.update(t, str(tmp_path / "ledger")).collect()]
     assert sorted(got, key=str) == sorted([(i, n) for i in range(20) for n in (0, 1)] + [(None, 1)], key=str)
     assert sorted(len(r.findings) for r in secret_scan.find_secrets(t).collect()) == [0] * 20 + [1] * 21
+
+
+def test_a_long_region_is_decoded_whole():
+    model = pii.trained()
+    one = "(605) 555-1000"
+    assert ("phone", 2, 2 + len(one)) in pii.method_spans("7 " + one, model)
+    text = "7 " + " ".join(f"(605) 555-{1000 + i}" for i in range(150))
+    (m,) = pii.REGION.finditer(text)
+    assert len(pii.atoms_of(text, *m.span())) > 800
+    assert [x for x in pii.method_spans(text, model)] == [("phone", 2 + 15 * i, 16 + 15 * i) for i in range(150)]
