@@ -2,15 +2,18 @@
 
 Words become typed placeholders where they are numbers, units after a number, or names (a capital inside a sentence).
 Windows of WINDOW canonical words, at least LITERAL of them literal, are hashed and met with the benchmark's windows;
-an item with fewer words is one window, if it has SHORTEST words or more. A met window counts when its slots are consistent: one
-value of the item always stands against one value of the document and the other way round. Null and empty texts meet
+an item with fewer words is one window, if it has SHORTEST words or more. A capitalised word that opens a sentence may be a
+name or not: an item's windows are hashed under every choice, a document's with all such words literal and with all as
+names. A met window counts when its slots are consistent: one value of the item always stands against one value of the
+document and the other way round. An item without such a window, short or of few literals, is met where all its words
+stand in a document, values included, as one window. Null and empty texts meet
 nothing; repeated rows give repeated results; an empty benchmark leaves every document clean.
 
 The benchmark is a stated query set: it is met in blocks of BLOCK windows, each broadcast, so no broadcast grows.
 """
 from __future__ import annotations
 
-import re
+from itertools import combinations
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -30,11 +33,11 @@ _NUM, _NAME, _UNITS = (np.uint64(x) for x in (0x1111, 0x2222, 0x3333))
 
 
 def canonical(text: str | None):
-    """(canonical hashes, literal mask, raw hashes) of a text's words."""
+    """(canonical hashes, literal mask, raw hashes, mask of literals that may be names as they open a sentence) of a text's words."""
     raw = (text or "").encode()
     h, s, e = words(raw, _SPLIT)
     if not len(h):
-        return h, np.zeros(0, bool), h
+        return h, np.zeros(0, bool), h, np.zeros(0, bool)
     b = np.frombuffer(raw, np.uint8)
     first = b[s]
     number = (first >= 48) & (first <= 57)
@@ -42,23 +45,36 @@ def canonical(text: str | None):
     name = (first >= 65) & (first <= 90) & (e - s > 1) & (second >= 97) & (second <= 122)
     at = np.flatnonzero(name)
     stops = np.flatnonzero(_STOP[b])  # a capital after one of these, or in front, opens a sentence
-    name[at[(at == 0) | (np.searchsorted(stops, s[at]) > np.searchsorted(stops, e[at - 1]))]] = False
+    opens = at[(at == 0) | (np.searchsorted(stops, s[at]) > np.searchsorted(stops, e[at - 1]))]
+    name[opens] = False
     unit = np.zeros(len(h), bool)
     after = np.flatnonzero(number[:-1]) + 1
     unit[after] = np.isin(h[after], _UNIT)
-    return np.where(number, _NUM, np.where(unit, _UNITS, np.where(name, _NAME, h))), ~(number | unit | name), h
+    literal = ~(number | unit | name)
+    maybe = np.zeros(len(h), bool)
+    maybe[opens] = True
+    return np.where(number, _NUM, np.where(unit, _UNITS, np.where(name, _NAME, h))), literal, h, maybe & literal
 
 
 def template_windows(text: str | None):
-    """(hash, first word, words) of the windows with enough literals."""
-    c, literal, raw = canonical(text)
+    """([(hash, first word, literal mask)] of the windows with enough literals, raw hashes, words of a window)."""
+    c, literal, raw, maybe = canonical(text)
     n = min(WINDOW, len(c))
     if n < SHORTEST:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64), raw, literal, n
-    w = windows(c, n)
-    run = np.cumsum(np.concatenate([[0], literal]))
-    ok = np.flatnonzero(run[n:] - run[:-n] >= min(LITERAL, n - 2))
-    return w[ok], ok, raw, literal, n
+        return [], raw, n
+    out, least = [], min(LITERAL, n - 2)
+    for i, w in enumerate(windows(c, n).tolist()):
+        lit, spare = literal[i : i + n], np.flatnonzero(maybe[i : i + n])
+        more = int(lit.sum()) - least
+        if more < 0:
+            continue
+        out.append((w, i, lit))
+        for k in range(1, min(more, len(spare)) + 1):
+            for names in combinations(spare.tolist(), k):
+                own, as_name = c[i : i + n].copy(), lit.copy()
+                own[list(names)], as_name[list(names)] = _NAME, False
+                out.append((int(windows(own, n)[0]), i, as_name))
+    return out, raw, n
 
 
 class Known:
@@ -94,31 +110,46 @@ def match(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
     def meet(items):
         table: dict[int, list] = {}
-        sizes = set()
+        whole: dict[int, list] = {}
+        sizes, spans = set(), set()
         for item, text in items:
-            w, at, raw, literal, n = template_windows(text)
-            sizes.add(n) if len(w) else None
-            for h, i in zip(w.tolist(), at.tolist()):
-                table.setdefault(h, []).append((item, raw[i : i + n], literal[i : i + n]))
-        shared = spark.sparkContext.broadcast((Known(np.array(list(table), np.uint64)), table, sorted(sizes)))
+            found, raw, n = template_windows(text)
+            sizes.add(n) if found else None
+            for h, i, literal in found:
+                table.setdefault(h, []).append((item, i, raw[i : i + n], literal))
+            if not found and len(raw):  # its first words lead to it
+                spans.add(n)
+                whole.setdefault(int(windows(raw[:n], n)[0]), []).append((item, n, raw))
+        shared = spark.sparkContext.broadcast((Known(np.array(list(table), np.uint64)), table, sorted(sizes), Known(np.array(list(whole), np.uint64)), whole, sorted(spans)))
 
         def run(batches):
             import pyarrow as pa
 
-            known, places, lengths = shared.value
+            known, places, lengths, exact, entire, fronts = shared.value
             for b in batches:
                 rows = []
                 for doc, text in zip(b.column(0).to_pylist(), b.column(1)):
-                    c, _, raw = canonical(text.as_py())
+                    c, _, raw, maybe = canonical(text.as_py())
+                    named = np.where(maybe, _NAME, c)
                     found: dict[int, list[int]] = {}
                     for n in lengths:
-                        w = windows(c, n)
-                        for i in known.met(w):
-                            for item, own, literal in places[int(w[i])]:
-                                if len(own) == n and consistent(raw[i : i + n], own, literal):
+                        counted = set()  # a window counts once, however its words are read
+                        for w in (windows(c, n), windows(named, n)):
+                            for i in known.met(w):
+                                for item, j, own, literal in places[int(w[i])]:
+                                    if (i, item, j) not in counted and len(own) == n and consistent(raw[i : i + n], own, literal):
+                                        counted.add((i, item, j))
+                                        got = found.setdefault(item, [0, 0])
+                                        got[0] += 1
+                                        got[1] += bool((raw[i : i + n] == own).all())
+                    for n in fronts:
+                        w = windows(raw, n)
+                        for i in exact.met(w):
+                            for item, k, own in entire[int(w[i])]:
+                                if k == n and np.array_equal(raw[i : i + len(own)], own):
                                     got = found.setdefault(item, [0, 0])
                                     got[0] += 1
-                                    got[1] += bool((raw[i : i + n] == own).all())
+                                    got[1] += 1
                     rows += [(doc, item, *got) for item, got in found.items()]
                 cols = list(zip(*rows)) or [[]] * 4
                 yield pa.RecordBatch.from_arrays([pa.array(cols[0], b.schema.field(0).type), *(pa.array(c, pa.int64()) for c in cols[1:])], ["doc_id", "item_id", "n_windows", "n_exact"])

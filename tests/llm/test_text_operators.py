@@ -186,3 +186,16 @@ def test_a_long_region_is_decoded_whole():
     (m,) = pii.REGION.finditer(text)
     assert len(pii.atoms_of(text, *m.span())) > 800
     assert [x for x in pii.method_spans(text, model)] == [("phone", 2 + 15 * i, 16 + 15 * i) for i in range(150)]
+
+
+def test_every_item_can_be_met(spark):
+    few = "Compute 3.5 + 4.25 - 1,250 / 7 and then round to 2 places."
+    named = "Anna buys some red apples and eats 3 of them at noon"
+    two = "The train leaves the station with much noise today. Bob waits there still"
+    items = [(1, few), (2, "What is love?"), (3, named), (4, two), (5, ""), (6, "12 + 30")]
+    docs = [
+        (1, f"so it says: {few} Fine."), (2, "he asked what is love and left"), (3, named.replace("Anna", "Clara")), (4, "we say " + named.replace("Anna", "Dora") + " too"),
+        (5, two.replace("The train", "he says the train").replace("Bob", "Carl")), (6, few.replace("1,250", "1,350")), (7, "what was love"), (8, "sum of 12 + 30 is"), (9, None), (10, ""),
+    ]
+    got = {(r.doc_id, r.item_id): (r.n_windows, r.n_exact) for r in decontaminate.match(spark.createDataFrame(docs, DOCS), spark.createDataFrame(items, "item_id bigint, text string")).collect()}
+    assert got == {(1, 1): (1, 1), (2, 2): (1, 1), (3, 3): (1, 0), (4, 3): (1, 0), (5, 4): (1, 0), (8, 6): (1, 1)}
