@@ -199,3 +199,16 @@ def test_every_item_can_be_met(spark):
     ]
     got = {(r.doc_id, r.item_id): (r.n_windows, r.n_exact) for r in decontaminate.match(spark.createDataFrame(docs, DOCS), spark.createDataFrame(items, "item_id bigint, text string")).collect()}
     assert got == {(1, 1): (1, 1), (2, 2): (1, 1), (3, 3): (1, 0), (4, 3): (1, 0), (5, 4): (1, 0), (8, 6): (1, 1)}
+
+
+def test_audit_counts_planted_links(spark):
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    unit = lambda x: x / np.linalg.norm(x, axis=-1, keepdims=True)
+    a = unit(rng.standard_normal((300, 64)))
+    b = 0.94 * a + np.sqrt(1 - 0.94**2) * unit(rng.standard_normal((300, 64)))
+    m = np.concatenate([a, b, a[:20], nested(4, groups=4)]).astype(np.float32)
+    t = spark.createDataFrame([(i, [float(x) for x in v], 1) for i, v in enumerate(m)], "vec_id bigint, embedding array<float>, label int")
+    truth = sum(n for n, _ in brute(range(len(m)), m.astype(float), embedding_neardup.THRESHOLD).values())
+    assert embedding_neardup.audit_recall(t, embedding_neardup.near_duplicates(t)) == (truth, truth)
