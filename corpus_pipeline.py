@@ -21,7 +21,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Recurring lines go; a document of which nothing is left goes with them."""
-    out = line_dedup.dedup(docs)
+    out = line_dedup.dedup(docs, long_words=line_dedup.LONG)
     out = out.where((F.col("n_dropped") == 0) | (F.trim("text") != ""))
     return out.withColumn("n_chars", F.length("text").cast("bigint")).select(docs.columns)
 

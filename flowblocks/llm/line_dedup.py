@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 from .common import durable
 
 DEPTH, MIN_DOCS = 3, 3
+#: Words from which a template recurs in two documents already, where a caller asks for it.
+LONG = 50
 FIELD = r"(?<![^ \n])[^ \n0-9]*+[0-9][^ \n]*+"
 BLANKS = ("\t", "\r", "\f", "\x0b", "  ", " \n", "\n ")
 
@@ -28,35 +30,41 @@ def generalised(text: Column) -> Column:
     return F.when(flat.rlike("[0-9]"), F.regexp_replace(flat, FIELD, "<*>")).otherwise(flat)
 
 
-def node(t: Column) -> Column:
-    """(token count, leading tokens) of the leaf and the template in it, as two independent 64-bit keys; null for a blank line."""
+def node(t: Column, long_words: int | None = None) -> Column:
+    """(token count, leading tokens) of the leaf and the template in it, as two independent 64-bit keys, and with long_words
+    whether it has so many words; null for a blank line."""
     count = F.length(t) - F.length(F.replace(t, F.lit(" "), F.lit("")))
-    return F.when(t != "", F.struct(F.xxhash64(count, F.substring_index(t, " ", DEPTH)).alias("leaf"), F.xxhash64(F.lit(1), t).alias("leafed")))
+    long = [(count + 1 >= long_words).alias("long")] if long_words else []
+    return F.when(t != "", F.struct(F.xxhash64(count, F.substring_index(t, " ", DEPTH)).alias("leaf"), F.xxhash64(F.lit(1), t).alias("leafed"), *long))
 
 
-def keys(text: Column) -> Column:
-    return F.transform(F.split(generalised(text), "\n", -1), node)
+def keys(text: Column, long_words: int | None = None) -> Column:
+    return F.transform(F.split(generalised(text), "\n", -1), lambda t: node(t, long_words))
 
 
-def templates(docs: DataFrame) -> DataFrame:
-    """doc_id, leaf, leafed: the distinct templates of each document."""
-    return docs.where("text is not null").select("doc_id", F.explode(F.array_distinct(keys(F.col("text")))).alias("k")).where("k is not null").select("doc_id", "k.leaf", "k.leafed")
+def templates(docs: DataFrame, long_words: int | None = None) -> DataFrame:
+    """doc_id, leaf, leafed, with long_words also long: the distinct templates of each document."""
+    return docs.where("text is not null").select("doc_id", F.explode(F.array_distinct(keys(F.col("text"), long_words))).alias("k")).where("k is not null").select("doc_id", "k.*")
 
 
 def recurring(each: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
-    """leaf, leafed, first document of every recurring template; one partial aggregate in front of the shuffle."""
-    return each.groupBy("leaf", "leafed").agg(F.count("*").alias("n_docs"), F.min("doc_id").alias("first_doc")).where(F.col("n_docs") >= min_docs)
+    """Template and first document of every recurring template; one partial aggregate in front of the shuffle."""
+    of = [c for c in each.columns if c != "doc_id"]
+    enough = F.col("n_docs") >= (F.when(F.col("long"), min(2, min_docs)).otherwise(min_docs) if "long" in of else min_docs)
+    return each.groupBy(*of).agg(F.count("*").alias("n_docs"), F.min("doc_id").alias("first_doc")).where(enough)
 
 
-def dedup(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
-    """docs with text less the dropped lines, plus n_lines and n_dropped (bigint)."""
+def dedup(docs: DataFrame, min_docs: int = MIN_DOCS, long_words: int | None = None) -> DataFrame:
+    """docs with text less the dropped lines, plus n_lines and n_dropped (bigint); with long_words, templates of so many
+    words recur from two documents on."""
     own = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
     docs = docs.select(own)
-    each = durable(templates(docs))
-    drop = each.join(recurring(each, min_docs).select("leaf", "leafed", "first_doc"), ["leaf", "leafed"]).where("doc_id <> first_doc")
-    drop = drop.groupBy("doc_id").agg(F.collect_set(F.struct("leaf", "leafed")).alias("_drop"))
+    each = durable(templates(docs, long_words))
+    of = [c for c in each.columns if c != "doc_id"]
+    drop = each.join(recurring(each, min_docs).select(*of, "first_doc"), of).where("doc_id <> first_doc")
+    drop = drop.groupBy("doc_id").agg(F.collect_set(F.struct(*of)).alias("_drop"))
     has, text = F.col("_drop").isNotNull(), F.col("text")
-    marked = F.zip_with(F.split(text, "\n", -1), keys(text), lambda x, k: F.struct(x.alias("x"), F.coalesce(F.array_contains("_drop", k), F.lit(False)).alias("gone")))
+    marked = F.zip_with(F.split(text, "\n", -1), keys(text, long_words), lambda x, k: F.struct(x.alias("x"), F.coalesce(F.array_contains("_drop", k), F.lit(False)).alias("gone")))
     kept = F.transform(F.filter(marked, lambda m: ~m["gone"]), lambda m: m["x"])
     lines = (F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).cast("bigint")
     out = docs.join(drop, "doc_id", "left").withColumn("_kept", F.when(has, kept)).withColumn("n_lines", F.coalesce(lines, F.lit(0)))

@@ -212,3 +212,12 @@ def test_audit_counts_planted_links(spark):
     t = spark.createDataFrame([(i, [float(x) for x in v], 1) for i, v in enumerate(m)], "vec_id bigint, embedding array<float>, label int")
     truth = sum(n for n, _ in brute(range(len(m)), m.astype(float), embedding_neardup.THRESHOLD).values())
     assert embedding_neardup.audit_recall(t, embedding_neardup.near_duplicates(t)) == (truth, truth)
+
+
+def test_long_lines_recur_in_two_documents(spark):
+    import corpus_pipeline
+
+    long, short = " ".join(f"word{'abcdefghij'[i // 10]}{'abcdefghij'[i % 10]}" for i in range(50)), "a short line"
+    t = spark.createDataFrame([(1, f"one\n{long}\n{short}"), (2, f"two\n{long}\n{short}"), (3, "three"), (4, None)], DOCS).selectExpr("*", "0L n_chars")
+    assert {r.doc_id: r.text for r in corpus_pipeline.lines(spark, t, "").collect()} == {1: f"one\n{long}\n{short}", 2: f"two\n{short}", 3: "three", 4: None}
+    assert sum(r.n_dropped for r in line_dedup.report(t).collect()) == 0
