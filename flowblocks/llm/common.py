@@ -2,6 +2,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,25 +17,60 @@ def texts(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text")
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The session's checkpoint folder. Where none is named, a local master (tests) gets one of its own; a cluster must name one."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        at = sc.getConf().get("spark.checkpoint.dir", "")
+        if not at and not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        sc.setCheckpointDir(at or tempfile.mkdtemp(prefix="ckpt"))
+    return sc.getCheckpointDir()
+
+
 def durable(df: DataFrame) -> DataFrame:
     """Cut the lineage with a copy in the shared checkpoint folder, so a lost executor costs no recomputation."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir", "") or tempfile.mkdtemp(prefix="ckpt"))
+    shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
+class Scratch:
+    """Named Parquet tables in the shared folder: they cut the lineage, the planner knows their sizes, and those that
+    are superseded are deleted, so the disk holds only what later steps read."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.root = spark, f"{shared_folder(spark)}/scratch-{uuid.uuid4().hex}"
+
+    def keep(self, name: str, df: DataFrame) -> DataFrame:
+        df.write.parquet(f"{self.root}/{name}")
+        return self.spark.read.schema(df.schema).parquet(f"{self.root}/{name}")
+
+    def drop(self, *names: str) -> None:
+        sc = self.spark.sparkContext
+        for name in names:
+            path = sc._jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
+            path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
+        sc._jvm.System.gc()  # shuffle files that no frame refers to any more go too
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(u, v) links -> (id, component): the smallest id reachable, for every id with a link.
 
     Each round takes the minimum label among neighbours (pre-aggregated before the shuffle), then jumps to the
-    label's own label. Only a count of changed rows reaches the driver."""
-    both = durable(edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v"))).where("u <> v").distinct())
-    label = durable(both.groupBy(F.col("u").alias("id")).agg(F.least(F.min("v"), F.first("u")).alias("c")))
+    label's own label. Only a count of changed rows reaches the driver. Every round's labels are a table of their own,
+    and the one before is deleted."""
+    disk = Scratch(edges.sparkSession)
+    both = disk.keep("both", edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v"))).where("u <> v").distinct())
+    label = disk.keep("0", both.groupBy(F.col("u").alias("id")).agg(F.min("v").alias("v")).select("id", F.least("id", "v").alias("c")))
+    turn = 0
     while True:
         near = both.join(label.select(F.col("id").alias("v"), F.col("c").alias("nc")), "v").groupBy(F.col("u").alias("id")).agg(F.min("nc").alias("nc"))
         step = label.join(near, "id", "left").select("id", F.col("c").alias("old"), F.least("c", "nc").alias("m"))
-        new = durable(step.join(label.select(F.col("id").alias("m"), F.col("c").alias("jump")), "m", "left").select("id", "old", F.least("m", "jump").alias("c")))
+        jump = label.select(F.col("id").alias("m"), F.col("c").alias("jump"))
+        turn += 1
+        new = disk.keep(str(turn), step.join(jump, "m", "left").select("id", "old", F.least("m", "jump").alias("c")))
+        disk.drop(str(turn - 1))
         if not new.where("c < old").limit(1).count():
+            disk.drop("both")
             return new.select("id", F.col("c").alias("component"))
         label = new.select("id", "c")

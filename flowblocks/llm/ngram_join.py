@@ -1,14 +1,16 @@
 """N-gram Jaccard join (operator 9) through a token-group matrix; exact up to 64-bit hashing of shingles.
 
 Equal sets collapse first. A token order that puts corpus-wide rare tokens first comes from a table of fixed size that
-covers every document. Each set posts the rare end of its tokens: two sets that link share one of them. Similar
-sets are partitioned into groups (star links to the first set under a posted token, verified); the matrix row of a
-group holds its token union folded into COLUMNS columns, as the most tokens a member has in each. A query set meets a
-group only through a posted token, its overlap with the row bounds that with any member, and only groups whose bound
-can reach the threshold are opened, member by member.
-
-Null or empty texts have no shingle and link with nothing; repeated rows of one doc_id count once; ties keep the
-smallest doc_id; an empty table gives an empty table.
+covers every document; it decides how much is compared, never what links. Each set posts the rare end of its tokens, with
+how many of its tokens lie from there on: two sets that link share a posted token, and the first one they share leaves
+enough tokens on both sides. Similar sets are partitioned into groups (star links to the first set under a posted
+token, verified); the matrix holds the union of a group's posted tokens, an entry for each. A query set meets a group through an
+entry that leaves enough tokens; the tokens it shares with the union bound its overlap with every member, and only groups
+whose bound can reach the threshold are opened, member by member.
+
+Texts that are null or empty have no shingle and link with nothing; a null doc_id has a null component; equal rows count
+once, and a doc_id with several texts links where any of them does; ties keep the smallest doc_id; one very long text is
+one large set; other columns are not read; an empty table gives an empty table.
 """
 from __future__ import annotations
 
@@ -16,10 +18,10 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, durable
+from .common import Scratch, components
 from .word_stream import mix, windows, words
 
-FREQ_BITS, CHUNKS, COLUMNS = 18, 64, 64
+FREQ_BITS, CHUNKS = 18, 64
 
 
 def shingles(text: str | None, n: int = 3) -> np.ndarray:
@@ -63,7 +65,7 @@ def frequencies(docs: DataFrame, n: int) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """doc_id, size, digest (a, b), the posted tokens and the tokens by matrix column of every document."""
+    """doc_id, size, digest (a, b) of the set and its posted tokens, rarest first, of every document."""
     rare = docs.sparkSession.sparkContext.broadcast(frequencies(docs, n))
 
     def run(batches):
@@ -71,21 +73,33 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
 
         freq = rare.value
         for batch in batches:
-            size, a, b, posts, cols = [], [], [], [], []
+            size, a, b, posts = [], [], [], []
             for text in batch.column(1):
                 h = shingles(text.as_py(), n)
                 size.append(len(h))
-                with np.errstate(over="ignore"):
-                    a.append(int(h.sum(dtype=np.uint64).view(np.int64)) if len(h) else 0)
-                    b.append(int(mix(h ^ np.uint64(0xA5A5A5A5A5A5A5A5)).sum(dtype=np.uint64).view(np.int64)) if len(h) else 0)
+                x, y = digest(h)
+                a.append(x)
+                b.append(y)
                 first = np.lexsort((h, freq[(h >> np.uint64(64 - FREQ_BITS)).astype(np.int64)]))[: lead(len(h), num, den)]
                 posts.append(h[first].view(np.int64))
-                cols.append(np.bincount((h & np.uint64(COLUMNS - 1)).astype(np.int64), minlength=COLUMNS))
-            ends = np.cumsum([0, *map(len, posts)]).astype(np.int32)
-            flat = np.concatenate(posts) if posts else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat)), pa.array(cols, pa.list_(pa.int32()))], ["doc_id", "n", "a", "b", "posts", "cols"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int32()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), listed(posts)], ["doc_id", "n", "a", "b", "posts"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n bigint, a bigint, b bigint, posts array<bigint>, cols array<int>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n int, a bigint, b bigint, posts array<bigint>")
+
+
+def digest(h: np.ndarray) -> tuple[int, int]:
+    """Two sums over a set's hashes that no order changes."""
+    if not len(h):
+        return 0, 0
+    with np.errstate(over="ignore"):
+        return int(h.sum(dtype=np.uint64).view(np.int64)), int(mix(h ^ np.uint64(0xA5A5A5A5A5A5A5A5)).sum(dtype=np.uint64).view(np.int64))
+
+
+def listed(arrays):
+    import pyarrow as pa
+
+    ends = np.cumsum([0, *map(len, arrays)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(arrays) if arrays else np.zeros(0, np.int64)))
 
 
 def full_sets(docs: DataFrame, n: int) -> DataFrame:
@@ -94,58 +108,80 @@ def full_sets(docs: DataFrame, n: int) -> DataFrame:
 
         for batch in batches:
             sets = [shingles(t.as_py(), n).view(np.int64) for t in batch.column(1)]
-            ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))], ["rid", "tokens"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), listed(sets)], ["rid", "tokens"])
 
     return docs.select(F.col("doc_id").alias("rid"), "text").mapInArrow(run, "rid bigint, tokens array<bigint>")
 
 
-def reachable(size_u, size_v, cols_u: str, cols_v: str, num: int, den: int):
-    """Whether the column counts leave room for enough shared tokens: overlap <= sum of the smaller counts."""
-    most = F.aggregate(F.zip_with(cols_u, cols_v, lambda x, y: F.least(x, y)), F.lit(0), lambda a, x: a + x)
-    return most * (num + den) >= (F.col(size_u) + F.col(size_v)) * num
-
-
 def near_sizes(a, b, num: int, den: int):
     return (F.col(a) * num <= F.col(b) * den) & (F.col(b) * num <= F.col(a) * den)
 
 
-def verify(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
+def enough(shared, size_u, size_v, num: int, den: int):
+    """Whether so many shared tokens could make sets of these sizes link."""
+    return shared * (num + den) >= (F.col(size_u) + size_v) * num
+
+
+def verify(disk: Scratch, name: str, pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
     """Those of the pairs (u, v) that link; only the sets of their documents are made again and moved."""
     ids = pairs.select(F.col("u").alias("doc_id")).union(pairs.select(F.col("v").alias("doc_id"))).distinct()
-    sets = durable(full_sets(docs.join(ids, "doc_id", "left_semi"), n).dropDuplicates(["rid"]))
+    sets = disk.keep(f"{name}-sets", full_sets(docs.join(ids, "doc_id", "left_semi"), n).distinct())
     both = pairs.join(sets.select(F.col("rid").alias("u"), F.col("tokens").alias("tu")), "u").join(sets.select(F.col("rid").alias("v"), F.col("tokens").alias("tv")), "v")
     both = both.withColumn("i", F.size(F.array_intersect("tu", "tv")))
-    return durable(both.where(F.col("i") * den >= (F.size("tu") + F.size("tv") - F.col("i")) * num).select("u", "v"))
+    out = disk.keep(name, both.where(F.col("i") * den >= (F.size("tu") + F.size("tv") - F.col("i")) * num).select("u", "v").distinct())
+    disk.drop(f"{name}-sets")
+    return out
+
+
+def candidates(disk: Scratch, shared: DataFrame, group: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs (u, v) of different groups that the matrix cannot rule out; shared is (tok, rid, size, rest), group (rid, g)."""
+    placed = disk.keep("placed", shared.join(group, "rid", "left").select("tok", "rid", "size", "rest", F.coalesce("g", "rid").alias("g")))
+    # one entry of the matrix: a token in the union of a group, with the sizes of the sets that post it and the most of any of them that lies from it on
+    entry = placed.groupBy("tok", "g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"), F.max("rest").alias("most"))
+    met = entry.groupBy("tok").agg(F.count("*").alias("k"), F.min("lo").alias("low")).where("k > 1").drop("k")
+    matrix = disk.keep("matrix", entry.join(met, "tok"))
+    least = lambda size: F.ceil(F.col(size) * num / den)
+    query = placed.join(met, "tok").where(enough(F.col("rest"), "size", F.greatest("low", least("size")), num, den))
+    query = query.select("tok", F.col("rid").alias("u"), F.col("g").alias("gu"), F.col("size").alias("su"), "rest")
+    fits = (F.col("g") < F.col("gu")) & (F.col("lo") * num <= F.col("su") * den) & (F.col("su") * num <= F.col("hi") * den)
+    meet = query.join(matrix, "tok").where(fits & enough(F.least("rest", "most"), "su", F.greatest("lo", least("su")), num, den))
+    meet = disk.keep("meet", meet.select("u", "su", "g").distinct())
+    # a query's overlap with a group's union bounds its overlap with every member: posted tokens met, and at most what lies behind the longer prefix
+    of_group = placed.groupBy("g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"))
+    met_u = meet.join(placed.select(F.col("rid").alias("u"), "tok", F.col("size").alias("su")).distinct(), ["u", "su"])
+    overlap = met_u.join(matrix.select("tok", "g"), ["tok", "g"]).groupBy("u", "su", "g").agg(F.count("*").alias("c"))
+    behind = F.greatest(least("su"), F.ceil(F.least(F.col("hi"), F.floor(F.col("su") * den / num)) * num / den)) - 1
+    opened = overlap.join(of_group, "g").where(enough(F.col("c") + behind, "su", F.greatest("lo", least("su")), num, den)).select("u", "su", "g")
+    opened = disk.keep("opened", opened)
+    mine = opened.join(placed.select("tok", F.col("rid").alias("u"), F.col("size").alias("su"), "rest"), ["u", "su"])
+    them = placed.select("tok", "g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("rest").alias("rest_v"))
+    pairs = mine.join(them, ["tok", "g"]).where(near_sizes("su", "sv", num, den) & enough(F.least("rest", "rest_v"), "su", F.col("sv"), num, den))
+    out = disk.keep("pairs", pairs.select("u", "v").distinct())
+    disk.drop("placed", "matrix", "meet", "opened")
+    return out
 
 
 def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataFrame:
     """doc_id, n_shingles, component_id of the link relation num/den over n-word shingles."""
     docs = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    sig = durable(signatures(docs, n, num, den))
-    reps = durable(sig.where("n > 0").groupBy("a", "b", "n").agg(F.min("doc_id").alias("rid")))
-    own = sig.join(reps.select(F.col("rid").alias("doc_id")), "doc_id", "left_semi")
-    cols = durable(own.select(F.col("doc_id").alias("rid"), "cols"))
-    posts = own.select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), F.explode("posts").alias("tok"))
-    met = posts.groupBy("tok").agg(F.count("*").alias("k"), F.min(F.struct("rid", "size")).alias("hub")).where("k > 1")
-    shared = durable(posts.join(met.select("tok", F.col("hub.rid").alias("hub"), F.col("hub.size").alias("hub_size")), "tok"))
-    of = lambda name, to: cols.select(F.col("rid").alias(name), F.col("cols").alias(to))
+    disk = Scratch(docs.sparkSession)
+    sig = disk.keep("signatures", signatures(docs, n, num, den))
+    whole = sig.select("doc_id", "n", "a", "b")
+    alike = whole.where("n > 0 and doc_id is not null").groupBy("a", "b", "n").agg(F.count("*").alias("k"), F.min("doc_id").alias("rid")).where("k > 1")
+    alike = disk.keep("alike", alike.drop("k"))
+    own = sig.where("n > 0 and doc_id is not null").join(alike, ["a", "b", "n"], "left").where("rid is null or rid = doc_id")
+    posts = own.select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), F.posexplode("posts").alias("at", "tok")).select("tok", "rid", "size", (F.col("size") - F.col("at")).alias("rest"))
+    met = disk.keep("met", posts.groupBy("tok").agg(F.count("*").alias("k"), F.min("rid").alias("hub")).where("k > 1").drop("k"))
+    shared = disk.keep("shared", posts.join(met, "tok"))
+    disk.drop("met")
     # groups of similar sets: verified star links to the first set under a posted token
-    stars = shared.where((F.col("rid") != F.col("hub")) & near_sizes("size", "hub_size", num, den)).select(F.col("rid").alias("u"), F.col("hub").alias("v"), F.col("size").alias("su"), F.col("hub_size").alias("sv")).distinct()
-    stars = stars.join(of("u", "cu"), "u").join(of("v", "cv"), "v").where(reachable("su", "sv", "cu", "cv", num, den)).select("u", "v")
-    sure = verify(durable(stars), docs, n, num, den)
+    hubs = shared.where("rid = hub").select("tok", F.col("size").alias("hub_size"), F.col("rest").alias("hub_rest"))
+    stars = shared.where("rid <> hub").join(hubs, "tok").where(near_sizes("size", "hub_size", num, den) & enough(F.least("rest", "hub_rest"), "size", F.col("hub_size"), num, den))
+    sure = verify(disk, "sure", disk.keep("stars", stars.select(F.col("rid").alias("u"), F.col("hub").alias("v")).distinct()), docs, n, num, den)
     group = components(sure).select(F.col("id").alias("rid"), F.col("component").alias("g"))
-    placed = durable(shared.select("rid", "size", "tok").join(group, "rid", "left").select("rid", "size", "tok", F.coalesce("g", "rid").alias("g")))
-    # the matrix: a group's row holds, by column, the most tokens that a set of it can have there
-    who = durable(placed.select("g", "rid", "size").distinct().join(cols, "rid"))
-    sized = who.groupBy("g").agg(F.min("size").alias("low"), F.array(*[F.max(F.get("cols", F.lit(i))) for i in range(COLUMNS)]).alias("row"))
-    rows = placed.groupBy("tok", "g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"))
-    query = placed.select("tok", F.col("rid").alias("u"), F.col("g").alias("gu"), F.col("size").alias("su"))
-    meet = query.join(rows, "tok").where((F.col("g") < F.col("gu")) & (F.col("lo") * num <= F.col("su") * den) & (F.col("su") * num <= F.col("hi") * den)).select("u", "su", "g").distinct()
-    bound = meet.join(of("u", "cu"), "u").join(sized, "g").withColumn("least", F.greatest(F.col("low"), F.ceil(F.col("su") * num / den)))
-    opened = durable(bound.where(reachable("su", "least", "cu", "row", num, den)).select("u", "su", "cu", "g"))
-    pairs = opened.join(who.select("g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("cols").alias("cv")), "g")
-    late = verify(durable(pairs.where(near_sizes("su", "sv", num, den) & reachable("su", "sv", "cu", "cv", num, den)).select("u", "v")), docs, n, num, den)
-    comp = components(sure.union(late)).select(F.col("id").alias("rid"), "component")
-    of_class = reps.join(comp, "rid", "left").select("a", "b", "n", F.coalesce("component", "rid").alias("component"))
-    return sig.select("doc_id", "n", "a", "b").join(of_class, ["a", "b", "n"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
+    late = verify(disk, "late", candidates(disk, shared.drop("hub"), group, num, den), docs, n, num, den)
+    disk.drop("stars", "shared", "pairs")
+    linked = components(sure.union(late)).select(F.col("id").alias("rid"), "component")
+    out = disk.keep("rows", whole.join(alike, ["a", "b", "n"], "left").select("doc_id", F.col("n").cast("bigint").alias("n_shingles"), F.coalesce("rid", "doc_id").alias("rid")).join(linked, "rid", "left").select("doc_id", "n_shingles", F.coalesce("component", "rid").alias("component_id")))
+    disk.drop("signatures", "alike", "sure", "late")
+    return out
