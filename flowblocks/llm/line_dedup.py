@@ -1,27 +1,35 @@
 """Line dedup (operator 1), DataFrame functions only: a log-template tree over the lines of all documents.
 
-A line's path in the tree is its token count, then its first DEPTH tokens, with every variable field (a token with a
-digit) generalised to `<*>`; its leaf holds templates, the whole generalised token sequences. A template that occurs
-in min_docs documents or more is recurring: its lines are dropped from every document but the one with the smallest
-doc_id, where they stay as they are. Blank lines are neither counted nor dropped. Null text stays null; repeated rows of a doc_id
-count as documents of their own for recurrence and are treated alike; an empty table gives an empty table.
+A token with a digit is a field, `<*>`. A line's path in the tree is its token count, then its first DEPTH tokens; a
+leading token that fewer than min_docs documents have under its node is a field there too. A leaf of two lines or more
+and at least LITERAL literal leading tokens, standing in min_docs documents or more, generalises: at each later place it keeps the
+token of more than half of its documents (a document counts once for each different line) and has a field elsewhere. A
+line of MIN_TOKENS tokens or more that agrees with SIMILAR percent of those later places takes the leaf's template;
+every other line is a template of its own.
+
+A template that occurs in min_docs documents or more is recurring: its lines are dropped from every document but the one
+with the smallest doc_id, where they stay as they are. Blank lines are neither counted nor dropped. Null text stays null;
+rows of one doc_id are one document, equal or not; rows with a null doc_id keep all their lines and count for no template; a very
+long line or text is one row of hashes; other columns pass through, whatever their names, but n_lines and n_dropped,
+which are replaced; an empty table gives an empty table.
 """
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable
+from .common import Scratch
 
-DEPTH, MIN_DOCS = 3, 3
-#: Words from which a template recurs in two documents already, where a caller asks for it.
+DEPTH, MIN_DOCS, MIN_TOKENS, LITERAL, SIMILAR = 3, 3, 8, 2, 60
+#: Words from which a line recurs in two documents already, where a caller asks for it.
 LONG = 50
 FIELD = r"(?<![^ \n])[^ \n0-9]*+[0-9][^ \n]*+"
 BLANKS = ("\t", "\r", "\f", "\x0b", "  ", " \n", "\n ")
+LEADING = ["a", "b", "c"]
 
 
 def generalised(text: Column) -> Column:
-    """The whole text with runs of blanks made one, line ends bare and variable fields as `<*>`; line breaks stay in place."""
+    """The whole text with runs of blanks made one, line ends bare and tokens with a digit as `<*>`; line breaks stay in place."""
     odd = F.contains(text, F.lit(BLANKS[0]))
     for x in BLANKS[1:]:
         odd = odd | F.contains(text, F.lit(x))
@@ -30,60 +38,107 @@ def generalised(text: Column) -> Column:
     return F.when(flat.rlike("[0-9]"), F.regexp_replace(flat, FIELD, "<*>")).otherwise(flat)
 
 
-def node(t: Column, long_words: int | None = None) -> Column:
-    """(token count, leading tokens) of the leaf and the template in it, as two independent 64-bit keys, and with long_words
-    whether it has so many words; null for a blank line."""
-    count = F.length(t) - F.length(F.replace(t, F.lit(" "), F.lit("")))
-    long = [(count + 1 >= long_words).alias("long")] if long_words else []
-    return F.when(t != "", F.struct(F.xxhash64(count, F.substring_index(t, " ", DEPTH)).alias("leaf"), F.xxhash64(F.lit(1), t).alias("leafed"), *long))
-
-
-def keys(text: Column, long_words: int | None = None) -> Column:
-    return F.transform(F.split(generalised(text), "\n", -1), lambda t: node(t, long_words))
-
-
-def templates(docs: DataFrame, long_words: int | None = None) -> DataFrame:
-    """doc_id, leaf, leafed, with long_words also long: the distinct templates of each document."""
-    return docs.where("text is not null").select("doc_id", F.explode(F.array_distinct(keys(F.col("text"), long_words))).alias("k")).where("k is not null").select("doc_id", "k.*")
-
-
-def recurring(each: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
-    """Template and first document of every recurring template; one partial aggregate in front of the shuffle."""
-    of = [c for c in each.columns if c != "doc_id"]
-    enough = F.col("n_docs") >= (F.when(F.col("long"), min(2, min_docs)).otherwise(min_docs) if "long" in of else min_docs)
-    return each.groupBy(*of).agg(F.count("*").alias("n_docs"), F.min("doc_id").alias("first_doc")).where(enough)
+def split_lines(text: Column) -> Column:
+    return F.split(generalised(text), "\n", -1)
+
+
+def key(line: Column) -> Column:
+    return F.xxhash64(F.lit(1), line)
+
+
+def lines_of(docs: DataFrame) -> DataFrame:
+    """doc_id, line (its hash), n (tokens), a, b, c (hashes of the leading tokens of lines that may generalise), once a document."""
+    rows = docs.where("text is not null and doc_id is not null").select("doc_id", F.explode(F.array_distinct(split_lines(F.col("text")))).alias("t")).where("t <> ''")
+    rows = rows.select("doc_id", "t", (F.length("t") - F.length(F.replace("t", F.lit(" "), F.lit(""))) + 1).alias("n"))
+    lead = F.split("t", " ", DEPTH + 1)
+    return rows.select("doc_id", key(F.col("t")).alias("line"), "n", *[F.when(F.col("n") >= MIN_TOKENS, F.xxhash64(lead[i])).alias(c) for i, c in enumerate(LEADING)])
+
+
+def leaves(lines: DataFrame, min_docs: int) -> DataFrame:
+    """line, first, n, k, leaf, lk (documents of the leaf) of the lines in leaves that generalise; lines is one row for each line."""
+    rows, path, literal = lines.where(F.col("n") >= MIN_TOKENS), ["n"], F.lit(0)
+    field = F.lit(0).cast("bigint")
+    for c in LEADING:
+        node = rows.groupBy(*path, c).agg(F.sum("k").alias("under")).where(F.col("under") >= min_docs)
+        rows = rows.join(node, [*path, c], "left").withColumn(f"p_{c}", F.when(F.col("under").isNotNull(), F.col(c)).otherwise(field)).withColumn(f"l_{c}", F.col("under").isNotNull().cast("int")).drop("under", c)
+        path, literal = [*path, f"p_{c}"], literal + F.col(f"l_{c}")
+    rows = rows.where(literal >= LITERAL).select("line", "first", "n", "k", F.xxhash64(F.lit(2), *path).alias("leaf"))
+    size = rows.groupBy("leaf").agg(F.sum("k").alias("lk"), F.count("*").alias("lines")).where((F.col("lk") >= min_docs) & (F.col("lines") > 1)).drop("lines")
+    return rows.join(size, "leaf")
+
+
+def members(docs: DataFrame, cand: DataFrame, disk: Scratch) -> DataFrame:
+    """line, leaf of the lines that agree with the template of their leaf."""
+    of = docs.select("doc_id", "text").where("text is not null").join(cand.select(F.col("first").alias("doc_id")).distinct(), "doc_id", "left_semi")
+    held = of.select("doc_id", F.explode(F.array_distinct(split_lines(F.col("text")))).alias("t")).select(F.col("doc_id").alias("first"), key(F.col("t")).alias("line"), "t")
+    later = F.transform(F.slice(F.split("t", " ", -1), DEPTH + 1, F.size(F.split("t", " ", -1))), lambda x, i: F.xxhash64(i, x))
+    own = held.join(cand, ["first", "line"]).dropDuplicates(["line"]).select("line", "leaf", "n", "k", "lk", later.alias("later"))
+    own = disk.keep("members", own)
+    votes = own.select("leaf", "lk", "k", F.explode("later").alias("v")).groupBy("leaf", "lk", "v").agg(F.sum("k").alias("w")).where(F.col("w") * 2 > F.col("lk"))
+    template = votes.groupBy("leaf").agg(F.collect_list("v").alias("kept"))
+    agree = F.size(F.array_intersect("later", "kept")) * 100 >= (F.col("n") - DEPTH) * SIMILAR
+    return own.join(template, "leaf").where(agree).select("line", "leaf")
+
+
+def dropped(docs: DataFrame, disk: Scratch, min_docs: int = MIN_DOCS, long_words: int | None = None) -> DataFrame:
+    """doc_id, line of every line to drop."""
+    each = disk.keep("each", lines_of(docs))
+    lines = each.groupBy("line").agg(F.count("*").alias("k"), F.min("doc_id").alias("first"), *[F.first(c).alias(c) for c in ("n", *LEADING)])
+    lines = disk.keep("lines", lines)
+    cand = disk.keep("cand", leaves(lines, min_docs))
+    like = disk.keep("like", members(docs, cand, disk))
+    disk.drop("cand", "members")
+    of_leaf = each.select("doc_id", "line").join(like, "line").select("leaf", "doc_id").distinct().groupBy("leaf").agg(F.count("*").alias("k"), F.min("doc_id").alias("first")).where(F.col("k") >= min_docs).drop("k")
+    enough = F.col("k") >= (F.when(F.col("n") >= long_words, min(2, min_docs)).otherwise(min_docs) if long_words else min_docs)
+    recurring = lines.where(enough).select("line", "first").join(like, "line", "left_anti").union(like.join(of_leaf, "leaf").select("line", "first"))
+    out = disk.keep("drop", each.select("doc_id", "line").join(recurring, "line").where("doc_id <> first").select("doc_id", "line"))
+    disk.drop("each", "lines", "like")
+    return out
 
 
 def dedup(docs: DataFrame, min_docs: int = MIN_DOCS, long_words: int | None = None) -> DataFrame:
-    """docs with text less the dropped lines, plus n_lines and n_dropped (bigint); with long_words, templates of so many
-    words recur from two documents on."""
+    """docs with text less the dropped lines, plus n_lines and n_dropped (bigint); with long_words, lines of so many words
+    recur from two documents on."""
     own = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
     docs = docs.select(own)
-    each = durable(templates(docs, long_words))
-    of = [c for c in each.columns if c != "doc_id"]
-    drop = each.join(recurring(each, min_docs).select(*of, "first_doc"), of).where("doc_id <> first_doc")
-    drop = drop.groupBy("doc_id").agg(F.collect_set(F.struct(*of)).alias("_drop"))
-    has, text = F.col("_drop").isNotNull(), F.col("text")
-    marked = F.zip_with(F.split(text, "\n", -1), keys(text, long_words), lambda x, k: F.struct(x.alias("x"), F.coalesce(F.array_contains("_drop", k), F.lit(False)).alias("gone")))
-    kept = F.transform(F.filter(marked, lambda m: ~m["gone"]), lambda m: m["x"])
-    lines = (F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).cast("bigint")
-    out = docs.join(drop, "doc_id", "left").withColumn("_kept", F.when(has, kept)).withColumn("n_lines", F.coalesce(lines, F.lit(0)))
-    out = out.withColumn("n_dropped", F.when(has, F.col("n_lines") - F.size("_kept")).otherwise(0).cast("bigint")).withColumn("text", F.when(has, F.array_join("_kept", "\n")).otherwise(text))
-    return out.select(*own, "n_lines", "n_dropped")
+    drop = dropped(docs, Scratch(docs.sparkSession), min_docs, long_words)
+    # only texts that lose a line are taken apart; gone is one mark for each line, in order
+    hit = docs.select("doc_id", "text").where("text is not null").join(drop.select("doc_id").distinct(), "doc_id", "left_semi")
+    at = hit.select("doc_id", F.xxhash64("text").alias("row"), F.posexplode(F.transform(split_lines(F.col("text")), key)).alias("at", "line"))
+    marks = at.join(drop.withColumn("gone", F.lit(True)), ["doc_id", "line"], "left").groupBy("doc_id", "row").agg(F.array_sort(F.collect_set(F.struct("at", F.coalesce("gone", F.lit(False)).alias("gone")))).alias("marks"))
+    marks = marks.select(F.struct("doc_id", "row", F.transform("marks", lambda m: m["gone"]).alias("gone")).alias("mark"))
+    both = docs.select(F.struct(*own).alias("doc")).join(marks, (F.col("doc.doc_id") == F.col("mark.doc_id")) & (F.xxhash64("doc.text") == F.col("mark.row")), "left")
+    text, gone = F.col("doc.text"), F.col("mark.gone")
+    kept = F.transform(F.filter(F.zip_with(F.split(text, "\n", -1), gone, lambda x, g: F.struct(x.alias("x"), g.alias("g"))), lambda m: ~m["g"]), lambda m: m["x"])
+    n_lines = F.coalesce((F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).cast("bigint"), F.lit(0))
+    n_dropped = F.coalesce(F.size(F.filter(gone, lambda g: g)), F.lit(0)).cast("bigint")
+    new = F.when(gone.isNotNull(), F.array_join(kept, "\n")).otherwise(text)
+    return both.select(*[(new if c == "text" else F.col("doc").getField(c)).alias(c) for c in own], n_lines.alias("n_lines"), F.when(gone.isNull(), 0).otherwise(n_dropped).cast("bigint").alias("n_dropped"))
 
 
 def report(docs: DataFrame) -> DataFrame:
     return dedup(docs.select("doc_id", "text")).select("doc_id", "n_lines", "n_dropped", F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("kept_md5"))
 
 
-#: The same over DuckDB tables; hashes of the tree's nodes are the templates themselves there.
+#: The same over DuckDB tables; hashes of the tree's nodes are the tokens themselves there.
 CLEAN_SQL = r"""case when regexp_matches(line, '[\t\r\f\v]|  ') then trim(regexp_replace(line, '[\t\r\f\v ]+', ' ', 'g'), ' ') else trim(line, ' ') end"""
+_NODE = "case when sum(k) over (partition by {path}, {c}) >= {m} then {c} else '' end"
 SQL = rf"""
 with lines as (
   select doc_id, text, unnest(string_split(text, chr(10))) line, generate_subscripts(string_split(text, chr(10)), 1) i from documents where text is not null),
 flat as (select doc_id, i, line, {CLEAN_SQL} f from lines),
 t as (select doc_id, i, line, array_to_string(list_transform(string_split(f, ' '), lambda x: case when regexp_matches(x, '[0-9]') then '<*>' else x end), ' ') tpl from flat),
-rec as (select tpl, min(doc_id) first_doc from t where tpl <> '' group by tpl having count(distinct doc_id) >= {MIN_DOCS}),
+l as (select tpl, count(distinct doc_id) k, min(doc_id) first_doc, string_split(tpl, ' ') w, len(string_split(tpl, ' ')) n from t where tpl <> '' group by tpl),
+t1 as (select *, {_NODE.format(path="n", c="w[1]", m=MIN_DOCS)} p1 from l where n >= {MIN_TOKENS}),
+t2 as (select *, {_NODE.format(path="n, p1", c="w[2]", m=MIN_DOCS)} p2 from t1),
+t3 as (select *, {_NODE.format(path="n, p1, p2", c="w[3]", m=MIN_DOCS)} p3 from t2),
+leaf as (select *, sum(k) over (partition by n, p1, p2, p3) lk, count(*) over (partition by n, p1, p2, p3) lines from t3
+  where (p1 <> '')::int + (p2 <> '')::int + (p3 <> '')::int >= {LITERAL} qualify lk >= {MIN_DOCS} and lines > 1),
+later as (select n, p1, p2, p3, lk, k, tpl, unnest(w[{DEPTH + 1}:]) v, generate_subscripts(w[{DEPTH + 1}:], 1) p from leaf),
+kept as (select n, p1, p2, p3, p, v from later group by n, p1, p2, p3, lk, p, v having sum(k) * 2 > lk),
+own as (select tpl, n, p1, p2, p3 from later semi join kept using (n, p1, p2, p3, p, v) group by tpl, n, p1, p2, p3 having count(*) * 100 >= (n - {DEPTH}) * {SIMILAR}),
+rec_leaf as (select n, p1, p2, p3, min(doc_id) first_doc from t join own using (tpl) group by n, p1, p2, p3 having count(distinct doc_id) >= {MIN_DOCS}),
+rec as (select tpl, first_doc from l anti join own using (tpl) where k >= {MIN_DOCS} union all select tpl, first_doc from own join rec_leaf using (n, p1, p2, p3)),
 m as (select t.*, (rec.tpl is not null and t.doc_id <> rec.first_doc) gone from t left join rec using (tpl)),
 s as (select doc_id, count(*) n_lines, count(*) filter (where gone) n_dropped, coalesce(string_agg(line, chr(10) order by i) filter (where not gone), '') kept from m group by doc_id)
 select d.doc_id, coalesce(n_lines, 0)::bigint n_lines, coalesce(n_dropped, 0)::bigint n_dropped, md5(coalesce(kept, '')) kept_md5 from documents d left join s using (doc_id)

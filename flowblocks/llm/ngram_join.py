@@ -172,7 +172,8 @@ def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataF
     own = sig.where("n > 0 and doc_id is not null").join(alike, ["a", "b", "n"], "left").where("rid is null or rid = doc_id")
     posts = own.select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), F.posexplode("posts").alias("at", "tok")).select("tok", "rid", "size", (F.col("size") - F.col("at")).alias("rest"))
     met = disk.keep("met", posts.groupBy("tok").agg(F.count("*").alias("k"), F.min("rid").alias("hub")).where("k > 1").drop("k"))
-    shared = disk.keep("shared", posts.join(met, "tok"))
+    disk.drop()
+    shared = disk.keep("shared", posts.join(met.hint("merge"), "tok"))  # the same way at every size
     disk.drop("met")
     # groups of similar sets: verified star links to the first set under a posted token
     hubs = shared.where("rid = hub").select("tok", F.col("size").alias("hub_size"), F.col("rest").alias("hub_rest"))
