@@ -7,16 +7,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from flowblocks.llm import bpe_codec, decontaminate, language_id, line_dedup, ngram_join
-from flowblocks.llm.common import table
+from flowblocks.llm.common import shared_folder, table
 from flowblocks.llm.queries import vocabulary
 
 MIN_SCORE = 0.5
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter, without text, or without a clear language go."""
-    keep = language_id.identify(docs).where((F.col("lang_pred") != "und") & (F.col("score") >= MIN_SCORE)).select("doc_id")
-    return docs.join(keep.distinct(), "doc_id", "left_semi").select(docs.columns)
+    """Documents without a letter, without text, or without a clear language go. Rows of one doc_id go together, where the
+    text of any of them is rejected; rows without doc_id stay."""
+    gone = language_id.identify(docs).where((F.col("lang_pred") == "und") | (F.col("score") < MIN_SCORE)).select("doc_id")
+    return docs.join(gone.distinct(), "doc_id", "left_anti").select(docs.columns)
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -27,9 +28,9 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class stays, the one with the smallest doc_id; five words and 0.8."""
-    keep = ngram_join.classes(docs, n=5, num=80, den=100).where("doc_id = component_id").select("doc_id")
-    return docs.join(keep.distinct(), "doc_id", "left_semi").select(docs.columns)
+    """One document of each class stays, the one with the smallest doc_id; five words and 0.8. Rows without doc_id stay."""
+    gone = ngram_join.classes(docs, n=5, num=80, den=100).where("doc_id <> component_id").select("doc_id")
+    return docs.join(gone.distinct(), "doc_id", "left_anti").select(docs.columns)
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,10 +47,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents; what a stage returns is kept in the shared checkpoint folder."""
-    from flowblocks.llm.common import durable
-
-    durable(spark.range(1))  # sets the folder where none is set
-    root = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
+    root = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     docs = table(spark, sf_dir, "documents")
     for i, (name, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{root}/{i}-{name}")
