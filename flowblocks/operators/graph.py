@@ -68,8 +68,22 @@ def dense_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     return a.join(b, (F.col("u") != F.col("v")) & (F.abs(F.col("cu") - F.col("cv")) <= 1)).select("u", "v")
 
 
+def path_edges(spark: SparkSession, n: int) -> DataFrame:
+    a = spark.range(n).select(F.col("id").cast("int").alias("u"))
+    return a.select("u", F.explode(F.array(F.col("u") - 1, F.col("u") + 1)).alias("v")).where(f"v between 0 and {n - 1}")
+
+
+def checked(edges: DataFrame) -> list[tuple[int, int]]:
+    """Distinct pairs on the driver; more than MAX_REGIONS x MAX_REGIONS of them is an error, never a cut."""
+    rows = edges.select(F.col(edges.columns[0]).alias("u"), F.col(edges.columns[1]).alias("v")).where("u <> v").distinct().limit(MAX_REGIONS * MAX_REGIONS + 1)
+    out = [(r[0], r[1]) for r in rows.toLocalIterator()]
+    if len(out) > MAX_REGIONS * MAX_REGIONS:
+        raise ValueError(f"more pairs than {MAX_REGIONS} regions can have")
+    return out
+
+
 def from_edges(edges: DataFrame, n: int) -> Graph:
-    return Graph(n, ((r[0], r[1]) for r in edges.limit(MAX_REGIONS * MAX_REGIONS).toLocalIterator()))
+    return Graph(n, checked(edges))
 
 
 def path(n: int) -> Graph:
@@ -78,3 +92,13 @@ def path(n: int) -> Graph:
 
 def square(side: int) -> Graph:
     return Graph(side * side, [(i, i + 1) for i in range(side * side) if (i + 1) % side] + [(i, i + side) for i in range(side * (side - 1))])
+
+
+def component_rows(spark: SparkSession, graph: Graph) -> DataFrame:
+    """v, component (its smallest vertex) for every vertex."""
+    return spark.createDataFrame([(v, c[0]) for c in graph.components() for v in c], "v int, component int")
+
+
+def induced(edges: DataFrame, verts: list[int]) -> DataFrame:
+    """The pairs of a graph between the given vertices."""
+    return edges.where(F.col("u").isin(verts) & F.col("v").isin(verts))

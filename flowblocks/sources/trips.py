@@ -37,6 +37,18 @@ def returns(spark, sf_dir) -> DataFrame:
     return valid(rows.select(F.col("s_nationkey").alias("o"), F.col("c_nationkey").alias("d"), F.floor((F.dayofyear("o_orderdate") - 1) / 14).cast("int").alias("t"), (50 + (F.col("l_orderkey") * 7 + F.col("l_linenumber") * 13) % 151).cast("bigint").alias("pax")))
 
 
+def freight_quads(spark, sf_dir) -> DataFrame:
+    """o, d, t, t_end, pax: the months of the order and of the shipment."""
+    rows = _lines(spark, sf_dir, "l_shipdate")
+    return valid(rows.select(F.col("s_nationkey").alias("o"), F.col("c_nationkey").alias("d"), (F.month("o_orderdate") - 1).alias("t"), (F.month("l_shipdate") - 1).alias("t_end"), F.col("l_quantity").cast("bigint").alias("pax")).where("t_end is not null"))
+
+
+def events(spark, sf_dir) -> DataFrame:
+    """user_id, event_id, ts (a timestamp), k (region), pax in cents."""
+    ev = _t(spark, sf_dir, "events", "event_id", "ts", "user_id", "value", F.floor(F.get_json_object("props", "$.k").cast("int") / 4).cast("int").alias("k"))
+    return ev.select("user_id", "event_id", F.col("ts").cast("timestamp").alias("ts"), "k", F.round(F.col("value") * 100).cast("bigint").alias("pax"))
+
+
 def hops(spark, sf_dir) -> DataFrame:
     """Consecutive events of a user: o, d, ts, pax in cents."""
     ev = _t(spark, sf_dir, "events", "event_id", "ts", "user_id", "value", F.floor(F.get_json_object("props", "$.k").cast("int") / 4).cast("int").alias("k"))
@@ -44,7 +56,8 @@ def hops(spark, sf_dir) -> DataFrame:
     return ev.select(F.col("k").alias("o"), nxt.alias("d"), "ts", F.round(F.col("value") * 100).cast("bigint").alias("pax"))
 
 
-def clicks(spark, sf_dir, weekday_classes: bool = False, bounds: list[int] | None = None) -> DataFrame:
+def clicks(spark, sf_dir, weekday_classes: bool = False, bounds: list[int] | None = None, flow: str = "cents") -> DataFrame:
     rows = hops(spark, sf_dir)
+    rows = rows if flow == "cents" else rows.withColumn("pax", F.lit(1).cast("bigint"))
     t = slots.custom(F.col("ts"), bounds) if bounds is not None else slots.uniform(F.col("ts"))
     return valid(rows.select("o", "d", (slots.classed(F.col("ts"), t, 48) if weekday_classes else t).alias("t"), "pax"))
