@@ -183,6 +183,6 @@ def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataF
     late = verify(disk, "late", candidates(disk, shared.drop("hub"), group, num, den), docs, n, num, den)
     disk.drop("stars", "shared", "pairs")
     linked = components(sure.union(late)).select(F.col("id").alias("rid"), "component")
-    out = disk.keep("rows", whole.join(alike, ["a", "b", "n"], "left").select("doc_id", F.col("n").cast("bigint").alias("n_shingles"), F.coalesce("rid", "doc_id").alias("rid")).join(linked, "rid", "left").select("doc_id", "n_shingles", F.coalesce("component", "rid").alias("component_id")))
+    out = disk.keep("rows", whole.join(alike, ["a", "b", "n"], "left").select("doc_id", F.col("n").cast("bigint").alias("n_shingles"), F.coalesce("rid", "doc_id").alias("rid")).join(linked, "rid", "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rid")).alias("component_id")))
     disk.drop("signatures", "alike", "sure", "late")
     return out
