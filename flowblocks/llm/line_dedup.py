@@ -47,11 +47,12 @@ def key(line: Column) -> Column:
 
 
 def lines_of(docs: DataFrame) -> DataFrame:
-    """doc_id, line (its hash), n (tokens), a, b, c (hashes of the leading tokens of lines that may generalise), once a document."""
-    rows = docs.where("text is not null and doc_id is not null").select("doc_id", F.explode(F.array_distinct(split_lines(F.col("text")))).alias("t")).where("t <> ''")
-    rows = rows.select("doc_id", "t", (F.length("t") - F.length(F.replace("t", F.lit(" "), F.lit(""))) + 1).alias("n"))
-    lead = F.split("t", " ", DEPTH + 1)
-    return rows.select("doc_id", key(F.col("t")).alias("line"), "n", *[F.when(F.col("n") >= MIN_TOKENS, F.xxhash64(lead[i])).alias(c) for i, c in enumerate(LEADING)])
+    """doc_id, row (the text's hash), at, line (its hash, null where blank), n (tokens), and of lines that may generalise
+    a, b, c (hashes of the leading tokens) and body."""
+    rows = docs.where("text is not null and doc_id is not null").select("doc_id", F.xxhash64("text").alias("row"), F.posexplode(split_lines(F.col("text"))).alias("at", "t"))
+    rows = rows.withColumn("n", F.when(F.col("t") != "", F.length("t") - F.length(F.replace("t", F.lit(" "), F.lit(""))) + 1))
+    long, lead = F.col("n") >= MIN_TOKENS, F.split("t", " ", DEPTH + 1)
+    return rows.select("doc_id", "row", "at", F.when(F.col("n").isNotNull(), key(F.col("t"))).alias("line"), "n", *[F.when(long, F.xxhash64(lead[i])).alias(c) for i, c in enumerate(LEADING)], F.when(long, F.col("t")).alias("body"))
 
 
 def leaves(lines: DataFrame, min_docs: int) -> DataFrame:
@@ -60,39 +61,43 @@ def leaves(lines: DataFrame, min_docs: int) -> DataFrame:
     field = F.lit(0).cast("bigint")
     for c in LEADING:
         node = rows.groupBy(*path, c).agg(F.sum("k").alias("under")).where(F.col("under") >= min_docs)
-        rows = rows.join(node, [*path, c], "left").withColumn(f"p_{c}", F.when(F.col("under").isNotNull(), F.col(c)).otherwise(field)).withColumn(f"l_{c}", F.col("under").isNotNull().cast("int")).drop("under", c)
+        rows = rows.join(node.hint("merge"), [*path, c], "left").withColumn(f"p_{c}", F.when(F.col("under").isNotNull(), F.col(c)).otherwise(field)).withColumn(f"l_{c}", F.col("under").isNotNull().cast("int")).drop("under", c)
         path, literal = [*path, f"p_{c}"], literal + F.col(f"l_{c}")
     rows = rows.where(literal >= LITERAL).select("line", "first", "n", "k", F.xxhash64(F.lit(2), *path).alias("leaf"))
     size = rows.groupBy("leaf").agg(F.sum("k").alias("lk"), F.count("*").alias("lines")).where((F.col("lk") >= min_docs) & (F.col("lines") > 1)).drop("lines")
     return rows.join(size, "leaf")
 
 
-def members(docs: DataFrame, cand: DataFrame, disk: Scratch) -> DataFrame:
+def members(each: DataFrame, cand: DataFrame, disk: Scratch) -> DataFrame:
     """line, leaf of the lines that agree with the template of their leaf."""
-    of = docs.select("doc_id", "text").where("text is not null").join(cand.select(F.col("first").alias("doc_id")).distinct(), "doc_id", "left_semi")
-    held = of.select("doc_id", F.explode(F.array_distinct(split_lines(F.col("text")))).alias("t")).select(F.col("doc_id").alias("first"), key(F.col("t")).alias("line"), "t")
-    later = F.transform(F.slice(F.split("t", " ", -1), DEPTH + 1, F.size(F.split("t", " ", -1))), lambda x, i: F.xxhash64(i, x))
-    own = held.join(cand, ["first", "line"]).dropDuplicates(["line"]).select("line", "leaf", "n", "k", "lk", later.alias("later"))
-    own = disk.keep("members", own)
+    held = each.where("body is not null").select(F.col("doc_id").alias("first"), "line", "body").join(cand, ["first", "line"]).dropDuplicates(["line"])
+    tokens = F.split("body", " ", -1)
+    later = F.transform(F.slice(tokens, DEPTH + 1, F.size(tokens)), lambda x, i: F.xxhash64(i, x))
+    own = disk.keep("members", held.select("line", "leaf", "n", "k", "lk", later.alias("later")))
     votes = own.select("leaf", "lk", "k", F.explode("later").alias("v")).groupBy("leaf", "lk", "v").agg(F.sum("k").alias("w")).where(F.col("w") * 2 > F.col("lk"))
     template = votes.groupBy("leaf").agg(F.collect_list("v").alias("kept"))
     agree = F.size(F.array_intersect("later", "kept")) * 100 >= (F.col("n") - DEPTH) * SIMILAR
     return own.join(template, "leaf").where(agree).select("line", "leaf")
 
 
-def dropped(docs: DataFrame, disk: Scratch, min_docs: int = MIN_DOCS, long_words: int | None = None) -> DataFrame:
-    """doc_id, line of every line to drop."""
+def marks(docs: DataFrame, disk: Scratch, min_docs: int = MIN_DOCS, long_words: int | None = None) -> DataFrame:
+    """doc_id, row, gone (one mark for each line, in order) of every text that loses a line."""
     each = disk.keep("each", lines_of(docs))
-    lines = each.groupBy("line").agg(F.count("*").alias("k"), F.min("doc_id").alias("first"), *[F.first(c).alias(c) for c in ("n", *LEADING)])
-    lines = disk.keep("lines", lines)
+    once = each.where("line is not null").select("doc_id", "line", "n", *LEADING).distinct()
+    lines = disk.keep("lines", once.groupBy("line").agg(F.count("*").alias("k"), F.min("doc_id").alias("first"), *[F.first(c).alias(c) for c in ("n", *LEADING)]))
+    disk.drop()
     cand = disk.keep("cand", leaves(lines, min_docs))
-    like = disk.keep("like", members(docs, cand, disk))
-    disk.drop("cand", "members")
+    disk.drop()
+    like = disk.keep("like", members(each, cand, disk))
     of_leaf = each.select("doc_id", "line").join(like, "line").select("leaf", "doc_id").distinct().groupBy("leaf").agg(F.count("*").alias("k"), F.min("doc_id").alias("first")).where(F.col("k") >= min_docs).drop("k")
     enough = F.col("k") >= (F.when(F.col("n") >= long_words, min(2, min_docs)).otherwise(min_docs) if long_words else min_docs)
-    recurring = lines.where(enough).select("line", "first").join(like, "line", "left_anti").union(like.join(of_leaf, "leaf").select("line", "first"))
-    out = disk.keep("drop", each.select("doc_id", "line").join(recurring, "line").where("doc_id <> first").select("doc_id", "line"))
-    disk.drop("each", "lines", "like")
+    recurring = disk.keep("recurring", lines.where(enough).select("line", "first").join(like, "line", "left_anti").union(like.join(of_leaf, "leaf").select("line", "first")))
+    drop = disk.keep("drop", each.select("doc_id", "line").join(recurring, "line").where("doc_id <> first").select("doc_id", "line").distinct())
+    # only texts that lose a line are put together again
+    hit = each.select("doc_id", "row", "at", "line").join(drop.select("doc_id").distinct(), "doc_id", "left_semi").join(drop.withColumn("gone", F.lit(True)), ["doc_id", "line"], "left")
+    gone = hit.groupBy("doc_id", "row").agg(F.array_sort(F.collect_set(F.struct("at", F.coalesce("gone", F.lit(False)).alias("gone")))).alias("gone"))
+    out = disk.keep("marks", gone.select("doc_id", "row", F.transform("gone", lambda m: m["gone"]).alias("gone")))
+    disk.drop("each", "lines", "cand", "members", "like", "recurring", "drop")
     return out
 
 
@@ -101,13 +106,8 @@ def dedup(docs: DataFrame, min_docs: int = MIN_DOCS, long_words: int | None = No
     recur from two documents on."""
     own = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
     docs = docs.select(own)
-    drop = dropped(docs, Scratch(docs.sparkSession), min_docs, long_words)
-    # only texts that lose a line are taken apart; gone is one mark for each line, in order
-    hit = docs.select("doc_id", "text").where("text is not null").join(drop.select("doc_id").distinct(), "doc_id", "left_semi")
-    at = hit.select("doc_id", F.xxhash64("text").alias("row"), F.posexplode(F.transform(split_lines(F.col("text")), key)).alias("at", "line"))
-    marks = at.join(drop.withColumn("gone", F.lit(True)), ["doc_id", "line"], "left").groupBy("doc_id", "row").agg(F.array_sort(F.collect_set(F.struct("at", F.coalesce("gone", F.lit(False)).alias("gone")))).alias("marks"))
-    marks = marks.select(F.struct("doc_id", "row", F.transform("marks", lambda m: m["gone"]).alias("gone")).alias("mark"))
-    both = docs.select(F.struct(*own).alias("doc")).join(marks, (F.col("doc.doc_id") == F.col("mark.doc_id")) & (F.xxhash64("doc.text") == F.col("mark.row")), "left")
+    mark = marks(docs, Scratch(docs.sparkSession), min_docs, long_words).select(F.struct("doc_id", "row", "gone").alias("mark"))
+    both = docs.select(F.struct(*own).alias("doc")).join(mark.hint("merge"), (F.col("doc.doc_id") == F.col("mark.doc_id")) & (F.xxhash64("doc.text") == F.col("mark.row")), "left")
     text, gone = F.col("doc.text"), F.col("mark.gone")
     kept = F.transform(F.filter(F.zip_with(F.split(text, "\n", -1), gone, lambda x, g: F.struct(x.alias("x"), g.alias("g"))), lambda m: ~m["g"]), lambda m: m["x"])
     n_lines = F.coalesce((F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).cast("bigint"), F.lit(0))

@@ -126,10 +126,10 @@ def verify(disk: Scratch, name: str, pairs: DataFrame, docs: DataFrame, n: int,
     """Those of the pairs (u, v) that link; only the sets of their documents are made again and moved."""
     ids = pairs.select(F.col("u").alias("doc_id")).union(pairs.select(F.col("v").alias("doc_id"))).distinct()
     sets = disk.keep(f"{name}-sets", full_sets(docs.join(ids, "doc_id", "left_semi"), n).distinct())
-    both = pairs.join(sets.select(F.col("rid").alias("u"), F.col("tokens").alias("tu")), "u").join(sets.select(F.col("rid").alias("v"), F.col("tokens").alias("tv")), "v")
+    both = pairs.join(sets.select(F.col("rid").alias("u"), F.col("tokens").alias("tu")).hint("merge"), "u").join(sets.select(F.col("rid").alias("v"), F.col("tokens").alias("tv")).hint("merge"), "v")
     both = both.withColumn("i", F.size(F.array_intersect("tu", "tv")))
     out = disk.keep(name, both.where(F.col("i") * den >= (F.size("tu") + F.size("tv") - F.col("i")) * num).select("u", "v").distinct())
-    disk.drop(f"{name}-sets")
+    disk.drop(f"{name}-sets")  # and the shuffles of its two joins
     return out
 
 
