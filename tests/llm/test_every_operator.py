@@ -13,7 +13,7 @@ import corpus_pipeline
 from flowblocks.llm import bpe_codec, decontaminate, embedding_neardup, language_id, license_scan, line_dedup, ngram_join, pii, secret_scan, token_attribution, word_stream
 
 DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
-LONG = "word " * 20_000 + "\n" + "x" * 30_000
+LONG = "word " * 4_000 + "\n" + "x" * 8_000
 ODD = [(1, None), (2, ""), (3, "a"), (4, LONG), (5, "same line here\nother"), (6, "same line here"), (7, "same line here"), (7, "same line here"), (8, "\n \n\t"), (None, "same line here"), (9, "0 ퟿\U0001f44d é")]
 CLASH = ["_drop", "n_lines", "n_dropped", "rid", "blob", "path", "line", "gone", "label", "n", "k", "doc", "mark", "row", "g", "item_id", "key", "at", "tok", "size", "findings"]
 
