@@ -59,11 +59,12 @@ def leaves(lines: DataFrame, min_docs: int) -> DataFrame:
     """line, first, n, k, leaf, lk (documents of the leaf) of the lines in leaves that generalise; lines is one row for each line."""
     rows, path, literal = lines.where(F.col("n") >= MIN_TOKENS), ["n"], F.lit(0)
     field = F.lit(0).cast("bigint")
-    for c in LEADING:
+    for left, c in zip((2, 1, 0), LEADING):
         node = rows.groupBy(*path, c).agg(F.sum("k").alias("under")).where(F.col("under") >= min_docs)
         rows = rows.join(node.hint("merge"), [*path, c], "left").withColumn(f"p_{c}", F.when(F.col("under").isNotNull(), F.col(c)).otherwise(field)).withColumn(f"l_{c}", F.col("under").isNotNull().cast("int")).drop("under", c)
         path, literal = [*path, f"p_{c}"], literal + F.col(f"l_{c}")
-    rows = rows.where(literal >= LITERAL).select("line", "first", "n", "k", F.xxhash64(F.lit(2), *path).alias("leaf"))
+        rows = rows.where(literal + left >= LITERAL)  # whole nodes go, so the counts below stay
+    rows = rows.select("line", "first", "n", "k", F.xxhash64(F.lit(2), *path).alias("leaf"))
     size = rows.groupBy("leaf").agg(F.sum("k").alias("lk"), F.count("*").alias("lines")).where((F.col("lk") >= min_docs) & (F.col("lines") > 1)).drop("lines")
     return rows.join(size, "leaf")
 
