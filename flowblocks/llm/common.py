@@ -4,9 +4,12 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: log2 of the bits of a bitmap: 2 MB.
+BITMAP = 24
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -53,6 +56,25 @@ class Scratch:
         sc._jvm.System.gc()  # shuffle files that no frame refers to any more go too
 
 
+def _place(key: Column) -> Column:
+    return F.call_function("shiftrightunsigned", key, F.lit(64 - BITMAP))
+
+
+def bitmap(keys: DataFrame) -> DataFrame:
+    """One row, bits: 2^BITMAP bits, one of them set for every hash in the only column of keys. Its size is fixed, so it may
+    be broadcast; the more keys, the more others pass it too."""
+    place = _place(F.col(keys.columns[0]))
+    words = keys.groupBy(F.floor(place / 64).alias("id")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("bigint"), (place % 64).cast("int"))).alias("b"))
+    all_ = keys.sparkSession.range(1 << (BITMAP - 6)).join(words, "id", "left").select("id", F.coalesce("b", F.lit(0).cast("bigint")).alias("b"))
+    return all_.agg(F.transform(F.array_sort(F.collect_list(F.struct("id", "b"))), lambda x: x["b"]).alias("bits"))
+
+
+def marked(bits: Column, key: Column) -> Column:
+    """Whether a hash may be among the keys."""
+    place = _place(key)
+    return F.call_function("shiftright", F.get(bits, F.floor(place / 64).cast("int")), (place % 64).cast("int")).bitwiseAND(F.lit(1).cast("bigint")) == 1
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(u, v) links -> (id, component): the smallest id reachable, for every id with a link.
 

@@ -18,9 +18,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, bitmap, marked
 
-DEPTH, MIN_DOCS, MIN_TOKENS, LITERAL, SIMILAR, BITMAP = 3, 3, 8, 2, 60, 24
+DEPTH, MIN_DOCS, MIN_TOKENS, LITERAL, SIMILAR = 3, 3, 8, 2, 60
 #: Words from which a line recurs in two documents already, where a caller asks for it.
 LONG = 50
 FIELD = r"(?<![^ \n])[^ \n0-9]*+[0-9][^ \n]*+"
@@ -69,27 +69,9 @@ def leaves(lines: DataFrame, min_docs: int) -> DataFrame:
     return rows.join(size, "leaf")
 
 
-def _place(line: Column) -> Column:
-    return F.call_function("shiftrightunsigned", line, F.lit(64 - BITMAP))
-
-
-def bitmap(lines: DataFrame) -> DataFrame:
-    """One row, bits: 2^BITMAP bits of which one is set for every line. Its size is fixed, so it may be broadcast; the more
-    lines, the more others pass it too."""
-    place = _place(F.col("line"))
-    words = lines.groupBy(F.floor(place / 64).alias("id")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("bigint"), (place % 64).cast("int"))).alias("b"))
-    all_ = lines.sparkSession.range(1 << (BITMAP - 6)).join(words, "id", "left").select("id", F.coalesce("b", F.lit(0).cast("bigint")).alias("b"))
-    return all_.agg(F.transform(F.array_sort(F.collect_list(F.struct("id", "b"))), lambda x: x["b"]).alias("bits"))
-
-
-def marked(bits: Column, line: Column) -> Column:
-    place = _place(line)
-    return F.call_function("shiftright", F.get(bits, F.floor(place / 64).cast("int")), (place % 64).cast("int")).bitwiseAND(F.lit(1).cast("bigint")) == 1
-
-
 def members(each: DataFrame, cand: DataFrame, disk: Scratch) -> DataFrame:
     """line, leaf of the lines that agree with the template of their leaf."""
-    held = each.where("body is not null").join(F.broadcast(bitmap(cand)), F.lit(True)).where(marked(F.col("bits"), F.col("line")))
+    held = each.where("body is not null").join(F.broadcast(bitmap(cand.select("line"))), F.lit(True)).where(marked(F.col("bits"), F.col("line")))
     held = held.select(F.col("doc_id").alias("first"), "line", "body").join(cand.hint("merge"), ["first", "line"]).dropDuplicates(["line"])
     tokens = F.split("body", " ", -1)
     later = F.transform(F.slice(tokens, DEPTH + 1, F.size(tokens)), lambda x, i: F.xxhash64(i, x))

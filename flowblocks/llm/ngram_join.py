@@ -18,7 +18,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, components
+from .common import Scratch, bitmap, components, marked
 from .word_stream import mix, windows, words
 
 FREQ_BITS, CHUNKS = 18, 64
@@ -123,13 +123,15 @@ def enough(shared, size_u, size_v, num: int, den: int):
 
 
 def verify(disk: Scratch, name: str, pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """Those of the pairs (u, v) that link; only the sets of their documents are made again and moved."""
-    ids = pairs.select(F.col("u").alias("doc_id")).union(pairs.select(F.col("v").alias("doc_id"))).distinct()
-    sets = disk.keep(f"{name}-sets", full_sets(docs.join(ids, "doc_id", "left_semi"), n).distinct())
+    """Those of the pairs (u, v) that link. Only the sets of their documents are made again and moved, never a text: a bitmap of
+    their ids, of fixed size, goes to all documents."""
+    ids = disk.keep(f"{name}-ids", pairs.select(F.col("u").alias("rid")).union(pairs.select(F.col("v").alias("rid"))).distinct())
+    of = docs.join(F.broadcast(bitmap(ids.select(F.xxhash64("rid")))), F.lit(True)).where(marked(F.col("bits"), F.xxhash64("doc_id")))
+    sets = disk.keep(f"{name}-sets", full_sets(of, n).join(ids.hint("merge"), "rid", "left_semi"))
     both = pairs.join(sets.select(F.col("rid").alias("u"), F.col("tokens").alias("tu")).hint("merge"), "u").join(sets.select(F.col("rid").alias("v"), F.col("tokens").alias("tv")).hint("merge"), "v")
     both = both.withColumn("i", F.size(F.array_intersect("tu", "tv")))
     out = disk.keep(name, both.where(F.col("i") * den >= (F.size("tu") + F.size("tv") - F.col("i")) * num).select("u", "v").distinct())
-    disk.drop(f"{name}-sets")  # and the shuffles of its two joins
+    disk.drop(f"{name}-sets", f"{name}-ids")  # and the shuffles of its two joins
     return out
 
 
@@ -178,7 +180,10 @@ def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataF
     # groups of similar sets: verified star links to the first set under a posted token
     hubs = shared.where("rid = hub").select("tok", F.col("size").alias("hub_size"), F.col("rest").alias("hub_rest"))
     stars = shared.where("rid <> hub").join(hubs, "tok").where(near_sizes("size", "hub_size", num, den) & enough(F.least("rest", "hub_rest"), "size", F.col("hub_size"), num, den))
-    sure = verify(disk, "sure", disk.keep("stars", stars.select(F.col("rid").alias("u"), F.col("hub").alias("v")).distinct()), docs, n, num, den)
+    stars = stars.groupBy(F.col("rid").alias("u"), F.col("hub").alias("v"), "size", "hub_size").agg(F.count("*").alias("c"))
+    behind = F.greatest(F.ceil(F.col("size") * num / den), F.ceil(F.col("hub_size") * num / den)) - 1  # tokens that neither posts
+    stars = disk.keep("stars", stars.where(enough(F.col("c") + behind, "size", F.col("hub_size"), num, den)).select("u", "v").distinct())
+    sure = verify(disk, "sure", stars, docs, n, num, den)
     group = components(sure).select(F.col("id").alias("rid"), F.col("component").alias("g"))
     late = verify(disk, "late", candidates(disk, shared.drop("hub"), group, num, den), docs, n, num, den)
     disk.drop("stars", "shared", "pairs")
