@@ -1,12 +1,13 @@
 """Helpers shared by the text operators."""
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..durable import durable, shared_folder  # noqa: F401  durable is for the operators
+
 #: log2 of the bits of a bitmap: 2 MB.
 BITMAP = 24
 
@@ -20,23 +21,6 @@ def texts(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text")
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder. Where none is named, a local master (tests) gets one of its own; a cluster must name one."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        at = sc.getConf().get("spark.checkpoint.dir", "")
-        if not at and not sc.master.startswith("local"):
-            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
-        sc.setCheckpointDir(at or tempfile.mkdtemp(prefix="ckpt"))
-    return sc.getCheckpointDir()
-
-
-def durable(df: DataFrame) -> DataFrame:
-    """Cut the lineage with a copy in the shared checkpoint folder, so a lost executor costs no recomputation."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint()
-
-
 class Scratch:
     """Named Parquet tables in the shared folder: they cut the lineage, the planner knows their sizes, and those that
     are superseded are deleted, so the disk holds only what later steps read."""
