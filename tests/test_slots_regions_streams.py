@@ -25,6 +25,12 @@ def test_trips_that_do_not_count(spark):
     assert [tuple(r) for r in cells.aggregate(trips.valid(t)).collect()] == [(1, 2, 0, 4)]
 
 
+def test_counted_trips_leave_out_hops_without_cents(spark, tmp_path):
+    rows = [(i, DAY + dt.timedelta(minutes=i), 1, v, f'{{"k":{4 * (i % 2)}}}') for i, v in enumerate((1.0, 0.004, 2.0, None, 3.0, 1.0))]
+    spark.createDataFrame(rows, "event_id bigint, ts timestamp_ntz, user_id bigint, value double, props string").write.parquet(f"{tmp_path}/events.parquet")
+    assert sorted(tuple(r) for r in cells.aggregate(trips.clicks(spark, str(tmp_path), flow="trips")).collect()) == [(0, 1, 0, 3)]
+
+
 def test_nearest_and_clusters(spark):
     p = spark.createDataFrame([(1, [0.0, 0.1], 0), (2, [5.0, 5.0], 1), (3, [0.2, 0.0], 0), (4, [5.1, 5.0], 1), (5, None, 1)], "id bigint, v array<float>, label int")
     c = regions.centres(p, "label", "v")
