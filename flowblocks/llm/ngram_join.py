@@ -3,8 +3,8 @@
 Equal sets collapse first. A token order that puts corpus-wide rare tokens first comes from a table of fixed size that
 covers every document; it decides how much is compared, never what links. Each set posts the rare end of its tokens, with
 how many of its tokens lie from there on: two sets that link share a posted token, and the first one they share leaves
-enough tokens on both sides. Similar sets are partitioned into groups (star links to the first set under a posted
-token, verified); the matrix holds the union of a group's posted tokens, an entry for each. A query set meets a group through an
+enough tokens on both sides. Similar sets are partitioned into groups (star links to the first set under a key of smallest
+hashes, verified; they only save comparisons, the matrix finds what they miss); the matrix holds the union of a group's posted tokens, an entry for each. A query set meets a group through an
 entry that leaves enough tokens; the tokens it shares with the union bound its overlap with every member, and only groups
 whose bound can reach the threshold are opened, member by member.
 
@@ -22,6 +22,8 @@ from .common import Scratch, bitmap, components, marked
 from .word_stream import mix, windows, words
 
 FREQ_BITS, CHUNKS = 18, 64
+#: Keys of a set, and smallest hashes in each of them.
+BANDS, WIDE = 8, 8
 
 
 def shingles(text: str | None, n: int = 3) -> np.ndarray:
@@ -73,7 +75,7 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
 
         freq = rare.value
         for batch in batches:
-            size, a, b, posts = [], [], [], []
+            size, a, b, posts, keys = [], [], [], [], []
             for text in batch.column(1):
                 h = shingles(text.as_py(), n)
                 size.append(len(h))
@@ -82,9 +84,10 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
                 b.append(y)
                 first = np.lexsort((h, freq[(h >> np.uint64(64 - FREQ_BITS)).astype(np.int64)]))[: lead(len(h), num, den)]
                 posts.append(h[first].view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int32()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), listed(posts)], ["doc_id", "n", "a", "b", "posts"])
+                keys.append(bands(h))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int32()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), listed(posts), listed(keys)], ["doc_id", "n", "a", "b", "posts", "keys"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n int, a bigint, b bigint, posts array<bigint>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n int, a bigint, b bigint, posts array<bigint>, keys array<bigint>")
 
 
 def digest(h: np.ndarray) -> tuple[int, int]:
@@ -95,6 +98,18 @@ def digest(h: np.ndarray) -> tuple[int, int]:
         return int(h.sum(dtype=np.uint64).view(np.int64)), int(mix(h ^ np.uint64(0xA5A5A5A5A5A5A5A5)).sum(dtype=np.uint64).view(np.int64))
 
 
+def bands(h: np.ndarray) -> np.ndarray:
+    """Keys that similar sets tend to share: the range of hashes falls into BANDS * WIDE equal parts, and a key is made of the
+    smallest hash in each of WIDE parts. A key whose parts are all empty is left out."""
+    at = np.searchsorted(h, np.arange(BANDS * WIDE, dtype=np.uint64) << np.uint64(64 - (BANDS * WIDE).bit_length() + 1))
+    held = np.append(at[1:], len(h)) > at
+    first = np.zeros(BANDS * WIDE, np.uint64)
+    first[held] = h[at[held]]
+    with np.errstate(over="ignore"):
+        keys = mix(first + np.arange(BANDS * WIDE, dtype=np.uint64)).reshape(BANDS, WIDE).sum(axis=1, dtype=np.uint64)
+    return keys[held.reshape(BANDS, WIDE).any(axis=1)].view(np.int64)
+
+
 def listed(arrays):
     import pyarrow as pa
 
@@ -135,29 +150,39 @@ def verify(disk: Scratch, name: str, pairs: DataFrame, docs: DataFrame, n: int,
     return out
 
 
+def alike_pairs(keyed: DataFrame, num: int, den: int) -> DataFrame:
+    """Each set with one set under each of its keys, (u, v), where sizes allow a link; keyed is (key, rid, size). Every key has
+    its own order of sets, so a group does not hang on one of them."""
+    hubs = keyed.groupBy("key").agg(F.min(F.struct(F.xxhash64("key", "rid").alias("place"), "rid", "size")).alias("hub"), F.count("*").alias("k")).where("k > 1").drop("k")
+    pairs = keyed.join(hubs.hint("merge"), "key").select(F.col("rid").alias("u"), F.col("hub.rid").alias("v"), "size", F.col("hub.size").alias("hub_size"))
+    return pairs.where((F.col("u") != F.col("v")) & near_sizes("size", "hub_size", num, den)).select("u", "v").distinct()
+
+
 def candidates(disk: Scratch, shared: DataFrame, group: DataFrame, num: int, den: int) -> DataFrame:
     """Pairs (u, v) of different groups that the matrix cannot rule out; shared is (tok, rid, size, rest), group (rid, g)."""
     placed = disk.keep("placed", shared.join(group, "rid", "left").select("tok", "rid", "size", "rest", F.coalesce("g", "rid").alias("g")))
     # one entry of the matrix: a token in the union of a group, with the sizes of the sets that post it and the most of any of them that lies from it on
     entry = placed.groupBy("tok", "g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"), F.max("rest").alias("most"))
-    met = entry.groupBy("tok").agg(F.count("*").alias("k"), F.min("lo").alias("low")).where("k > 1").drop("k")
-    matrix = disk.keep("matrix", entry.join(met, "tok"))
+    met = entry.groupBy("tok").agg(F.count("*").alias("k")).where("k > 1").drop("k")
+    matrix = disk.keep("matrix", entry.join(met.hint("merge"), "tok"))
     least = lambda size: F.ceil(F.col(size) * num / den)
-    query = placed.join(met, "tok").where(enough(F.col("rest"), "size", F.greatest("low", least("size")), num, den))
-    query = query.select("tok", F.col("rid").alias("u"), F.col("g").alias("gu"), F.col("size").alias("su"), "rest")
+    query = placed.select("tok", F.col("rid").alias("u"), F.col("g").alias("gu"), F.col("size").alias("su"), "rest")
     fits = (F.col("g") < F.col("gu")) & (F.col("lo") * num <= F.col("su") * den) & (F.col("su") * num <= F.col("hi") * den)
-    meet = query.join(matrix, "tok").where(fits & enough(F.least("rest", "most"), "su", F.greatest("lo", least("su")), num, den))
+    meet = query.join(matrix.hint("merge"), "tok").where(fits & enough(F.least("rest", "most"), "su", F.greatest("lo", least("su")), num, den))
     meet = disk.keep("meet", meet.select("u", "su", "g").distinct())
     # a query's overlap with a group's union bounds its overlap with every member: posted tokens met, and at most what lies behind the longer prefix
     of_group = placed.groupBy("g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"))
-    met_u = meet.join(placed.select(F.col("rid").alias("u"), "tok", F.col("size").alias("su")).distinct(), ["u", "su"])
-    overlap = met_u.join(matrix.select("tok", "g"), ["tok", "g"]).groupBy("u", "su", "g").agg(F.count("*").alias("c"))
+    near_u, near_g = (F.broadcast(bitmap(meet.select(F.xxhash64(c))).withColumnRenamed("bits", f"bits_{c}")) for c in ("u", "g"))
+    asking = lambda rows, rid: rows.join(near_u, F.lit(True)).where(marked(F.col("bits_u"), F.xxhash64(rid))).drop("bits_u")
+    asked = lambda rows: rows.join(near_g, F.lit(True)).where(marked(F.col("bits_g"), F.xxhash64("g"))).drop("bits_g")
+    mine = asking(placed, "rid").select("tok", F.col("rid").alias("u"), F.col("size").alias("su"), "rest")
+    met_u = meet.hint("merge").join(mine.select("u", "tok").distinct(), "u")
+    overlap = met_u.join(asked(matrix.select("tok", "g")).hint("merge"), ["tok", "g"]).groupBy("u", "su", "g").agg(F.count("*").alias("c"))
     behind = F.greatest(least("su"), F.ceil(F.least(F.col("hi"), F.floor(F.col("su") * den / num)) * num / den)) - 1
     opened = overlap.join(of_group, "g").where(enough(F.col("c") + behind, "su", F.greatest("lo", least("su")), num, den)).select("u", "su", "g")
     opened = disk.keep("opened", opened)
-    mine = opened.join(placed.select("tok", F.col("rid").alias("u"), F.col("size").alias("su"), "rest"), ["u", "su"])
-    them = placed.select("tok", "g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("rest").alias("rest_v"))
-    pairs = mine.join(them, ["tok", "g"]).where(near_sizes("su", "sv", num, den) & enough(F.least("rest", "rest_v"), "su", F.col("sv"), num, den))
+    them = asked(placed).select("tok", "g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("rest").alias("rest_v"))
+    pairs = opened.hint("merge").join(mine, ["u", "su"]).join(them.hint("merge"), ["tok", "g"]).where(near_sizes("su", "sv", num, den) & enough(F.least("rest", "rest_v"), "su", F.col("sv"), num, den))
     out = disk.keep("pairs", pairs.select("u", "v").distinct())
     disk.drop("placed", "matrix", "meet", "opened")
     return out
@@ -173,19 +198,14 @@ def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataF
     alike = disk.keep("alike", alike.drop("k"))
     own = sig.where("n > 0 and doc_id is not null").join(alike, ["a", "b", "n"], "left").where("rid is null or rid = doc_id")
     posts = own.select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), F.posexplode("posts").alias("at", "tok")).select("tok", "rid", "size", (F.col("size") - F.col("at")).alias("rest"))
-    met = disk.keep("met", posts.groupBy("tok").agg(F.count("*").alias("k"), F.min("rid").alias("hub")).where("k > 1").drop("k"))
+    met = disk.keep("met", posts.groupBy("tok").agg(F.count("*").alias("k")).where("k > 1").drop("k"))
     disk.drop()
     shared = disk.keep("shared", posts.join(met.hint("merge"), "tok"))  # the same way at every size
     disk.drop("met")
-    # groups of similar sets: verified star links to the first set under a posted token
-    hubs = shared.where("rid = hub").select("tok", F.col("size").alias("hub_size"), F.col("rest").alias("hub_rest"))
-    stars = shared.where("rid <> hub").join(hubs, "tok").where(near_sizes("size", "hub_size", num, den) & enough(F.least("rest", "hub_rest"), "size", F.col("hub_size"), num, den))
-    stars = stars.groupBy(F.col("rid").alias("u"), F.col("hub").alias("v"), "size", "hub_size").agg(F.count("*").alias("c"))
-    behind = F.greatest(F.ceil(F.col("size") * num / den), F.ceil(F.col("hub_size") * num / den)) - 1  # tokens that neither posts
-    stars = disk.keep("stars", stars.where(enough(F.col("c") + behind, "size", F.col("hub_size"), num, den)).select("u", "v").distinct())
-    sure = verify(disk, "sure", stars, docs, n, num, den)
+    keyed = own.select(F.explode("keys").alias("key"), F.col("doc_id").alias("rid"), F.col("n").alias("size"))
+    sure = verify(disk, "sure", disk.keep("stars", alike_pairs(keyed, num, den)), docs, n, num, den)
     group = components(sure).select(F.col("id").alias("rid"), F.col("component").alias("g"))
-    late = verify(disk, "late", candidates(disk, shared.drop("hub"), group, num, den), docs, n, num, den)
+    late = verify(disk, "late", candidates(disk, shared, group, num, den), docs, n, num, den)
     disk.drop("stars", "shared", "pairs")
     linked = components(sure.union(late)).select(F.col("id").alias("rid"), "component")
     out = disk.keep("rows", whole.join(alike, ["a", "b", "n"], "left").select("doc_id", F.col("n").cast("bigint").alias("n_shingles"), F.coalesce("rid", "doc_id").alias("rid")).join(linked, "rid", "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rid")).alias("component_id")))

@@ -283,3 +283,29 @@ def test_core_of_a_big_component_is_counted_unseen(spark):
 def test_turns_follow_the_largest_label():
     few, many = (embedding_neardup.turns(n, 0.93)[0] for n in (5_000, 500_000_000))
     assert few < many and embedding_neardup.turns(0, 0.93)[0] == 1
+
+
+def test_a_group_of_near_copies_is_not_compared_pair_by_pair(spark, monkeypatch):
+    rng = random.Random(5)
+    base = [f"w{i}" for i in range(402)]
+    docs = []
+    for i in range(60):
+        words = list(base)
+        for at in rng.sample(range(3, 399), 5 if i < 3 else rng.choice((2, 3, 4, 5))):
+            words[at] = f"x{i}-{at}"
+        docs.append((i, " ".join(words)))
+    counted, verify = {}, ngram_join.verify
+    monkeypatch.setattr(ngram_join, "verify", lambda disk, name, pairs, *a: counted.update({name: pairs.count()}) or verify(disk, name, pairs, *a))
+    got = {r.doc_id: r.component_id for r in ngram_join.classes(spark.createDataFrame(docs, "doc_id bigint, text string")).collect()}
+    sets = {i: set(ngram_join.shingles(t).tolist()) for i, t in docs}
+    want = {i: i for i in sets}
+    links = 0
+    for u in sets:
+        for v in range(u):
+            both = len(sets[u] & sets[v])
+            if 100 * both >= 90 * (len(sets[u]) + len(sets[v]) - both):
+                links += 1
+                a, b = want[u], want[v]
+                want = {i: min(a, b) if c in (a, b) else c for i, c in want.items()}
+    assert got == want and links > 300
+    assert sum(counted.values()) < 12 * len(docs)
