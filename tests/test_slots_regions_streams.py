@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from flowblocks.functions import slots
 from flowblocks.operators import cells, regions
+from flowblocks.queries import QUERIES
 from flowblocks.sources import files, trips
 from flowblocks.streaming import cells as stream
 
@@ -83,3 +84,8 @@ def test_store_adds_a_batch_once(spark):
     for batch in (0, 1, 1):
         store.add(one, batch)
     assert [tuple(r) for r in store.now.collect()] == [(1, 2, 0, 8)]
+
+
+def test_path_over_the_regions_of_events(spark, tmp_path):
+    spark.createDataFrame([(i, DAY, 1, 1.0, f'{{"k":{k}}}') for i, k in enumerate((0, 5, 9, 9, 20))], "event_id bigint, ts timestamp_ntz, user_id bigint, value double, props string").write.parquet(f"{tmp_path}/events.parquet")
+    assert sorted(tuple(r) for r in QUERIES["graph_path_edges"](spark, str(tmp_path)).collect()) == [(0, 1), (1, 0), (1, 2), (2, 1)]
