@@ -89,3 +89,12 @@ def test_store_adds_a_batch_once(spark):
 def test_path_over_the_regions_of_events(spark, tmp_path):
     spark.createDataFrame([(i, DAY, 1, 1.0, f'{{"k":{k}}}') for i, k in enumerate((0, 5, 9, 9, 20))], "event_id bigint, ts timestamp_ntz, user_id bigint, value double, props string").write.parquet(f"{tmp_path}/events.parquet")
     assert sorted(tuple(r) for r in QUERIES["graph_path_edges"](spark, str(tmp_path)).collect()) == [(0, 1), (1, 0), (1, 2), (2, 1)]
+
+
+def _orders(spark, at, months):
+    spark.createDataFrame([(i, dt.datetime(2024, m, 1)) for i, m in enumerate(months)], "o_orderkey bigint, o_orderdate timestamp_ntz").write.parquet(f"{at}/orders.parquet")
+
+
+def test_windows_over_the_months_of_orders(spark, tmp_path):
+    _orders(spark, tmp_path, (1, 2, 3, 3, 6, 11, 12))
+    assert sorted(tuple(r) for r in QUERIES["window_pool"](spark, str(tmp_path)).collect()) == [(0, 0, 1), (1, 1, 2), (2, 10, 11)]
