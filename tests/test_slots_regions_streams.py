@@ -98,3 +98,10 @@ def _orders(spark, at, months):
 def test_windows_over_the_months_of_orders(spark, tmp_path):
     _orders(spark, tmp_path, (1, 2, 3, 3, 6, 11, 12))
     assert sorted(tuple(r) for r in QUERIES["window_pool"](spark, str(tmp_path)).collect()) == [(0, 0, 1), (1, 1, 2), (2, 10, 11)]
+
+
+def test_costs_of_the_sizes_in_tables(spark, tmp_path):
+    _orders(spark, tmp_path, (1, 2, 3, 3))
+    spark.createDataFrame([(1, 4), (2, 5), (3, 4)], "c_custkey bigint, c_nationkey int").write.parquet(f"{tmp_path}/customer.parquet")
+    got = dict(tuple(r) for r in QUERIES["cost_formulas"](spark, str(tmp_path)).collect())
+    assert got == {"levelwise": 12, "bounded": 12, "partners": 4, "prefix": 36, "pool": 8, "sampling": 256, "combinations": 0}
