@@ -91,15 +91,18 @@ def marks(docs: DataFrame, disk: Scratch, min_docs: int = MIN_DOCS, long_words:
     cand = disk.keep("cand", leaves(lines, min_docs))
     disk.drop()
     like = disk.keep("like", members(each, cand, disk))
+    disk.drop("cand", "members")
     of_leaf = each.select("doc_id", "line").join(like, "line").select("leaf", "doc_id").distinct().groupBy("leaf").agg(F.count("*").alias("k"), F.min("doc_id").alias("first")).where(F.col("k") >= min_docs).drop("k")
     enough = F.col("k") >= (F.when(F.col("n") >= long_words, min(2, min_docs)).otherwise(min_docs) if long_words else min_docs)
     recurring = disk.keep("recurring", lines.where(enough).select("line", "first").join(like, "line", "left_anti").union(like.join(of_leaf, "leaf").select("line", "first")))
+    disk.drop("lines", "like")
     drop = disk.keep("drop", each.select("doc_id", "line").join(recurring, "line").where("doc_id <> first").select("doc_id", "line").distinct())
+    disk.drop("recurring")
     # only texts that lose a line are put together again
     hit = each.select("doc_id", "row", "at", "line").join(drop.select("doc_id").distinct(), "doc_id", "left_semi").join(drop.withColumn("gone", F.lit(True)), ["doc_id", "line"], "left")
     gone = hit.groupBy("doc_id", "row").agg(F.array_sort(F.collect_set(F.struct("at", F.coalesce("gone", F.lit(False)).alias("gone")))).alias("gone"))
     out = disk.keep("marks", gone.select("doc_id", "row", F.transform("gone", lambda m: m["gone"]).alias("gone")))
-    disk.drop("each", "lines", "cand", "members", "like", "recurring", "drop")
+    disk.drop("each", "drop")
     return out
 
 

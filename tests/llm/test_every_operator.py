@@ -309,3 +309,12 @@ def test_a_group_of_near_copies_is_not_compared_pair_by_pair(spark, monkeypatch)
                 want = {i: min(a, b) if c in (a, b) else c for i, c in want.items()}
     assert got == want and links > 300
     assert sum(counted.values()) < 12 * len(docs)
+
+
+def test_line_dedup_drops_tables_that_later_steps_do_not_read(spark, monkeypatch):
+    held, keep, drop = set(), line_dedup.Scratch.keep, line_dedup.Scratch.drop
+    seen = {}
+    monkeypatch.setattr(line_dedup.Scratch, "keep", lambda self, name, df: seen.update({name: set(held)}) or held.add(name) or keep(self, name, df))
+    monkeypatch.setattr(line_dedup.Scratch, "drop", lambda self, *names: held.difference_update(names) or drop(self, *names))
+    line_dedup.report(spark.createDataFrame([(1, "a b"), (2, "a b")], "doc_id bigint, text string")).count()
+    assert seen["marks"] == {"each", "drop"} and held == {"marks"}
