@@ -28,18 +28,18 @@ BLANKS = ("\t", "\r", "\f", "\x0b", "  ", " \n", "\n ")
 LEADING = ["a", "b", "c"]
 
 
-def generalised(text: Column) -> Column:
-    """The whole text with runs of blanks made one, line ends bare and tokens with a digit as `<*>`; line breaks stay in place."""
+def flattened(text: Column) -> Column:
+    """The whole text with runs of blanks made one and line ends bare; line breaks stay in place."""
     odd = F.contains(text, F.lit(BLANKS[0]))
     for x in BLANKS[1:]:
         odd = odd | F.contains(text, F.lit(x))
     flat = F.when(odd, F.regexp_replace(F.regexp_replace(text, r"[\t\r\f\x0B ]+", " "), r"(?<=\n) | (?=\n)", "")).otherwise(text)
-    flat = F.trim(flat)
-    return F.when(flat.rlike("[0-9]"), F.regexp_replace(flat, FIELD, "<*>")).otherwise(flat)
+    return F.trim(flat)
 
 
-def split_lines(text: Column) -> Column:
-    return F.split(generalised(text), "\n", -1)
+def split_lines(flat: Column) -> Column:
+    """Lines of a flattened text, tokens with a digit as `<*>`. It reads its argument twice, so that is to be a column."""
+    return F.split(F.when(flat.rlike("[0-9]"), F.regexp_replace(flat, FIELD, "<*>")).otherwise(flat), "\n", -1)
 
 
 def key(line: Column) -> Column:
@@ -49,7 +49,8 @@ def key(line: Column) -> Column:
 def lines_of(docs: DataFrame) -> DataFrame:
     """doc_id, row (the text's hash), at, line (its hash, null where blank), n (tokens), and of lines that may generalise
     a, b, c (hashes of the leading tokens) and body."""
-    rows = docs.where("text is not null and doc_id is not null").select("doc_id", F.xxhash64("text").alias("row"), F.posexplode(split_lines(F.col("text"))).alias("at", "t"))
+    rows = docs.where("text is not null and doc_id is not null").select("doc_id", F.xxhash64("text").alias("row"), flattened(F.col("text")).alias("flat"))
+    rows = rows.select("doc_id", "row", F.posexplode(split_lines(F.col("flat"))).alias("at", "t"))
     rows = rows.withColumn("n", F.when(F.col("t") != "", F.length("t") - F.length(F.replace("t", F.lit(" "), F.lit(""))) + 1))
     long, lead = F.col("n") >= MIN_TOKENS, F.split("t", " ", DEPTH + 1)
     return rows.select("doc_id", "row", "at", F.when(F.col("n").isNotNull(), key(F.col("t"))).alias("line"), "n", *[F.when(long, F.xxhash64(lead[i])).alias(c) for i, c in enumerate(LEADING)], F.when(long, F.col("t")).alias("body"))
@@ -69,9 +70,11 @@ def leaves(lines: DataFrame, min_docs: int) -> DataFrame:
     return rows.join(size, "leaf")
 
 
-def members(each: DataFrame, cand: DataFrame, disk: Scratch) -> DataFrame:
-    """line, leaf of the lines that agree with the template of their leaf."""
-    held = each.where("body is not null").join(F.broadcast(bitmap(cand.select("line"))), F.lit(True)).where(marked(F.col("bits"), F.col("line")))
+def members(docs: DataFrame, cand: DataFrame, disk: Scratch) -> DataFrame:
+    """line, leaf of the lines that agree with the template of their leaf. Their tokens are read from the first document of each
+    once more; a bitmap of these documents goes to all, so no table holds the texts of lines."""
+    of = docs.select("doc_id", "text").join(F.broadcast(bitmap(cand.select(F.xxhash64("first")))), F.lit(True)).where(marked(F.col("bits"), F.xxhash64("doc_id"))).select("doc_id", "text")
+    held = lines_of(of).where("body is not null").join(F.broadcast(bitmap(cand.select("line"))), F.lit(True)).where(marked(F.col("bits"), F.col("line")))
     held = held.select(F.col("doc_id").alias("first"), "line", "body").join(cand.hint("merge"), ["first", "line"]).dropDuplicates(["line"])
     tokens = F.split("body", " ", -1)
     later = F.transform(F.slice(tokens, DEPTH + 1, F.size(tokens)), lambda x, i: F.xxhash64(i, x))
@@ -84,13 +87,13 @@ def members(each: DataFrame, cand: DataFrame, disk: Scratch) -> DataFrame:
 
 def marks(docs: DataFrame, disk: Scratch, min_docs: int = MIN_DOCS, long_words: int | None = None) -> DataFrame:
     """doc_id, row, gone (one mark for each line, in order) of every text that loses a line."""
-    each = disk.keep("each", lines_of(docs))
+    each = disk.keep("each", lines_of(docs).drop("body"))
     once = each.where("line is not null").select("doc_id", "line", "n", *LEADING).distinct()
     lines = disk.keep("lines", once.groupBy("line").agg(F.count("*").alias("k"), F.min("doc_id").alias("first"), *[F.first(c).alias(c) for c in ("n", *LEADING)]))
     disk.drop()
     cand = disk.keep("cand", leaves(lines, min_docs))
     disk.drop()
-    like = disk.keep("like", members(each, cand, disk))
+    like = disk.keep("like", members(docs, cand, disk))
     disk.drop("cand", "members")
     of_leaf = each.select("doc_id", "line").join(like, "line").select("leaf", "doc_id").distinct().groupBy("leaf").agg(F.count("*").alias("k"), F.min("doc_id").alias("first")).where(F.col("k") >= min_docs).drop("k")
     enough = F.col("k") >= (F.when(F.col("n") >= long_words, min(2, min_docs)).otherwise(min_docs) if long_words else min_docs)

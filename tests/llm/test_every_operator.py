@@ -318,3 +318,13 @@ def test_line_dedup_drops_tables_that_later_steps_do_not_read(spark, monkeypatch
     monkeypatch.setattr(line_dedup.Scratch, "drop", lambda self, *names: held.difference_update(names) or drop(self, *names))
     line_dedup.report(spark.createDataFrame([(1, "a b"), (2, "a b")], "doc_id bigint, text string")).count()
     assert seen["marks"] == {"each", "drop"} and held == {"marks"}
+
+
+def test_line_dedup_keeps_no_table_of_line_texts(spark, monkeypatch):
+    kept, keep = {}, line_dedup.Scratch.keep
+    monkeypatch.setattr(line_dedup.Scratch, "keep", lambda self, name, df: kept.update({name: df.dtypes}) or keep(self, name, df))
+    line = "the shared job of user {} ended well after nine hours of work"
+    docs = [(i, line.format(w) + f"\nonly here {w}") for i, w in enumerate(["alice", "bob", "carol", "dave"])]
+    got = {r.doc_id: r.n_dropped for r in line_dedup.report(spark.createDataFrame(docs, "doc_id bigint, text string")).collect()}
+    assert got == {0: 0, 1: 1, 2: 1, 3: 1}
+    assert "members" in kept and not [x for x in kept.items() if any("string" in kind for _, kind in x[1])]
