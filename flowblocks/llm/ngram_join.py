@@ -5,8 +5,10 @@ covers every document; it decides how much is compared, never what links. Each s
 how many of its tokens lie from there on: two sets that link share a posted token, and the first one they share leaves
 enough tokens on both sides. Similar sets are partitioned into groups (star links to the first set under a key of smallest
 hashes, verified; they only save comparisons, the matrix finds what they miss); the matrix holds the union of a group's posted tokens, an entry for each. A query set meets a group through an
-entry that leaves enough tokens; the tokens it shares with the union bound its overlap with every member, and only groups
-whose bound can reach the threshold are opened, member by member.
+entry that leaves enough tokens. Parities of all its tokens, in bins, differ from those that the members have in common in no
+more bins than it differs from a member in tokens, so most meetings end there, before tokens are counted; the tokens it
+shares with the union bound its overlap with every member, and only groups whose bound can reach the threshold are
+opened, member by member, by parities again. What is left is compared token by token.
 
 Texts that are null or empty have no shingle and link with nothing; a null doc_id has a null component; equal rows count
 once, and a doc_id with several texts links where any of them does; ties keep the smallest doc_id; one very long text is
@@ -24,6 +26,8 @@ from .word_stream import mix, windows, words
 FREQ_BITS, CHUNKS = 18, 64
 #: Keys of a set, and smallest hashes in each of them.
 BANDS, WIDE = 8, 8
+#: Words of 64 parities of a set.
+PARITY = 8
 
 
 def shingles(text: str | None, n: int = 3) -> np.ndarray:
@@ -75,7 +79,7 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
 
         freq = rare.value
         for batch in batches:
-            size, a, b, posts, keys = [], [], [], [], []
+            size, a, b, posts, keys, parities = [], [], [], [], [], []
             for text in batch.column(1):
                 h = shingles(text.as_py(), n)
                 size.append(len(h))
@@ -85,9 +89,10 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
                 first = np.lexsort((h, freq[(h >> np.uint64(64 - FREQ_BITS)).astype(np.int64)]))[: lead(len(h), num, den)]
                 posts.append(h[first].view(np.int64))
                 keys.append(bands(h))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int32()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), listed(posts), listed(keys)], ["doc_id", "n", "a", "b", "posts", "keys"])
+                parities.append(parity(h))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int32()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), listed(posts), listed(keys), listed(parities)], ["doc_id", "n", "a", "b", "posts", "keys", "parity"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n int, a bigint, b bigint, posts array<bigint>, keys array<bigint>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n int, a bigint, b bigint, posts array<bigint>, keys array<bigint>, parity array<bigint>")
 
 
 def digest(h: np.ndarray) -> tuple[int, int]:
@@ -110,6 +115,12 @@ def bands(h: np.ndarray) -> np.ndarray:
     return keys[held.reshape(BANDS, WIDE).any(axis=1)].view(np.int64)
 
 
+def parity(h: np.ndarray) -> np.ndarray:
+    """Whether the number of tokens in each of 64 * PARITY bins is odd: sets that differ in k tokens differ in k bins at most."""
+    bins = np.bincount((h & np.uint64(64 * PARITY - 1)).astype(np.int64), minlength=64 * PARITY)
+    return np.packbits((bins & 1).astype(np.uint8)).view(np.int64)
+
+
 def listed(arrays):
     import pyarrow as pa
 
@@ -137,6 +148,27 @@ def enough(shared, size_u, size_v, num: int, den: int):
     return shared * (num + den) >= (F.col(size_u) + size_v) * num
 
 
+def apart(one: str, all_: str, any_: str):
+    """The least number of bins in which a set's parities differ from those of any set of a group, by the bins that are odd in
+    all and in any of them."""
+    out = F.lit(0)
+    for i in range(PARITY):
+        x = F.get(one, F.lit(i))
+        out = out + F.bit_count(x.bitwiseAND(F.bitwise_not(F.get(any_, F.lit(i))))) + F.bit_count(F.bitwise_not(x).bitwiseAND(F.get(all_, F.lit(i))))
+    return out
+
+
+def few(bins, size_u, size_v, num: int, den: int):
+    """Whether sets of these sizes that differ in so many tokens at least could link."""
+    return bins * (num + den) <= (F.col(size_u) + size_v) * (den - num)
+
+
+def close(pairs: DataFrame, prints: DataFrame, num: int, den: int) -> DataFrame:
+    """Those of the pairs (u, v) that parities do not rule out; prints is (rid, size, parity)."""
+    of = lambda c: prints.select(F.col("rid").alias(c), F.col("size").alias(f"s{c}"), F.col("parity").alias(f"p{c}")).hint("merge")
+    return pairs.join(of("u"), "u").join(of("v"), "v").where(few(apart("pu", "pv", "pv"), "su", F.col("sv"), num, den)).select("u", "v").distinct()
+
+
 def verify(disk: Scratch, name: str, pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
     """Those of the pairs (u, v) that link. Only the sets of their documents are made again and moved, never a text: a bitmap of
     their ids, of fixed size, goes to all documents."""
@@ -158,8 +190,9 @@ def alike_pairs(keyed: DataFrame, num: int, den: int) -> DataFrame:
     return pairs.where((F.col("u") != F.col("v")) & near_sizes("size", "hub_size", num, den)).select("u", "v").distinct()
 
 
-def candidates(disk: Scratch, shared: DataFrame, group: DataFrame, num: int, den: int) -> DataFrame:
-    """Pairs (u, v) of different groups that the matrix cannot rule out; shared is (tok, rid, size, rest), group (rid, g)."""
+def candidates(disk: Scratch, shared: DataFrame, group: DataFrame, prints: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs (u, v) of different groups that matrix and parities cannot rule out; shared is (tok, rid, size, rest), group (rid, g),
+    prints (rid, size, parity)."""
     placed = disk.keep("placed", shared.join(group, "rid", "left").select("tok", "rid", "size", "rest", F.coalesce("g", "rid").alias("g")))
     # one entry of the matrix: a token in the union of a group, with the sizes of the sets that post it and the most of any of them that lies from it on
     entry = placed.groupBy("tok", "g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"), F.max("rest").alias("most"))
@@ -170,21 +203,30 @@ def candidates(disk: Scratch, shared: DataFrame, group: DataFrame, num: int, den
     fits = (F.col("g") < F.col("gu")) & (F.col("lo") * num <= F.col("su") * den) & (F.col("su") * num <= F.col("hi") * den)
     meet = query.join(matrix.hint("merge"), "tok").where(fits & enough(F.least("rest", "most"), "su", F.greatest("lo", least("su")), num, den))
     meet = disk.keep("meet", meet.select("u", "su", "g").distinct())
+    # parities of the queries and of what the groups' members have in common
+    ids = F.broadcast(bitmap(meet.select(F.xxhash64("u")).union(meet.select(F.xxhash64("g")))))
+    cards = prints.join(group, "rid", "left").withColumn("g", F.coalesce("g", "rid")).join(ids, F.lit(True)).where(marked(F.col("bits"), F.xxhash64("rid")) | marked(F.col("bits"), F.xxhash64("g")))
+    cards = disk.keep("cards", cards.select("rid", "g", "size", "parity"))
+    words = lambda f: F.array(*[f(F.get("parity", F.lit(i))) for i in range(PARITY)])
+    common = cards.groupBy("g").agg(words(F.bit_and).alias("all"), words(F.bit_or).alias("any"), F.max("size").alias("hi"))
+    mine = cards.select(F.col("rid").alias("u"), F.col("size").alias("su"), F.col("parity").alias("pu"))
+    most = F.least(F.col("hi"), F.floor(F.col("su") * den / num))
+    alike = meet.join(mine.hint("merge"), ["u", "su"]).join(common.hint("merge"), "g").where(few(apart("pu", "all", "any"), "su", most, num, den))
+    meet = disk.keep("near", alike.select("u", "su", "g").distinct())
     # a query's overlap with a group's union bounds its overlap with every member: posted tokens met, and at most what lies behind the longer prefix
     of_group = placed.groupBy("g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"))
     near_u, near_g = (F.broadcast(bitmap(meet.select(F.xxhash64(c))).withColumnRenamed("bits", f"bits_{c}")) for c in ("u", "g"))
     asking = lambda rows, rid: rows.join(near_u, F.lit(True)).where(marked(F.col("bits_u"), F.xxhash64(rid))).drop("bits_u")
     asked = lambda rows: rows.join(near_g, F.lit(True)).where(marked(F.col("bits_g"), F.xxhash64("g"))).drop("bits_g")
-    mine = asking(placed, "rid").select("tok", F.col("rid").alias("u"), F.col("size").alias("su"), "rest")
-    met_u = meet.hint("merge").join(mine.select("u", "tok").distinct(), "u")
+    met_u = meet.hint("merge").join(asking(placed, "rid").select(F.col("rid").alias("u"), "tok").distinct(), "u")
     overlap = met_u.join(asked(matrix.select("tok", "g")).hint("merge"), ["tok", "g"]).groupBy("u", "su", "g").agg(F.count("*").alias("c"))
     behind = F.greatest(least("su"), F.ceil(F.least(F.col("hi"), F.floor(F.col("su") * den / num)) * num / den)) - 1
     opened = overlap.join(of_group, "g").where(enough(F.col("c") + behind, "su", F.greatest("lo", least("su")), num, den)).select("u", "su", "g")
     opened = disk.keep("opened", opened)
-    them = asked(placed).select("tok", "g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("rest").alias("rest_v"))
-    pairs = opened.hint("merge").join(mine, ["u", "su"]).join(them.hint("merge"), ["tok", "g"]).where(near_sizes("su", "sv", num, den) & enough(F.least("rest", "rest_v"), "su", F.col("sv"), num, den))
+    them = asked(cards).select("g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("parity").alias("pv"))
+    pairs = opened.hint("merge").join(asking(mine, "u"), ["u", "su"]).join(them.hint("merge"), "g").where(near_sizes("su", "sv", num, den) & few(apart("pu", "pv", "pv"), "su", F.col("sv"), num, den))
     out = disk.keep("pairs", pairs.select("u", "v").distinct())
-    disk.drop("placed", "matrix", "meet", "opened")
+    disk.drop("placed", "matrix", "meet", "cards", "near", "opened")
     return out
 
 
@@ -203,10 +245,13 @@ def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataF
     shared = disk.keep("shared", posts.join(met.hint("merge"), "tok"))  # the same way at every size
     disk.drop("met")
     keyed = own.select(F.explode("keys").alias("key"), F.col("doc_id").alias("rid"), F.col("n").alias("size"))
-    sure = verify(disk, "sure", disk.keep("stars", alike_pairs(keyed, num, den)), docs, n, num, den)
+    prints = sig.where("n > 0 and doc_id is not null").select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), "parity")
+    stars = disk.keep("stars", alike_pairs(keyed, num, den))
+    sure = verify(disk, "sure", disk.keep("close", close(stars, prints, num, den)), docs, n, num, den)
+    disk.drop("stars", "close")
     group = components(sure).select(F.col("id").alias("rid"), F.col("component").alias("g"))
-    late = verify(disk, "late", candidates(disk, shared, group, num, den), docs, n, num, den)
-    disk.drop("stars", "shared", "pairs")
+    late = verify(disk, "late", candidates(disk, shared, group, prints, num, den), docs, n, num, den)
+    disk.drop("shared", "pairs")
     linked = components(sure.union(late)).select(F.col("id").alias("rid"), "component")
     out = disk.keep("rows", whole.join(alike, ["a", "b", "n"], "left").select("doc_id", F.col("n").cast("bigint").alias("n_shingles"), F.coalesce("rid", "doc_id").alias("rid")).join(linked, "rid", "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rid")).alias("component_id")))
     disk.drop("signatures", "alike", "sure", "late")

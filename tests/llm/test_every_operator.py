@@ -328,3 +328,30 @@ def test_line_dedup_keeps_no_table_of_line_texts(spark, monkeypatch):
     got = {r.doc_id: r.n_dropped for r in line_dedup.report(spark.createDataFrame(docs, "doc_id bigint, text string")).collect()}
     assert got == {0: 0, 1: 1, 2: 1, 3: 1}
     assert "members" in kept and not [x for x in kept.items() if any("string" in kind for _, kind in x[1])]
+
+
+def test_parities_rule_out_pairs_and_lose_no_link(spark, monkeypatch):
+    rng = np.random.default_rng(11)
+    for _ in range(200):
+        a, b = (np.unique(rng.integers(0, 1 << 63, int(rng.integers(1, 900)), dtype=np.uint64)) for _ in range(2))
+        b = np.unique(np.concatenate([b[: rng.integers(0, 40)], a[rng.integers(0, 30) :]]))
+        bins = sum(int(x).bit_count() for x in (ngram_join.parity(a) ^ ngram_join.parity(b)).view(np.uint64))
+        assert bins <= len(np.setxor1d(a, b))
+    base, docs = [f"w{i}" for i in range(200)], []
+    for i in range(60):  # far copies, of which none link, and two that do
+        w = list(base)
+        for at in rng.choice(199, 5, replace=False):
+            w[at] = f"x{i}y{at}"
+        docs.append((i, " ".join(w)))
+    docs += [(100, docs[7][1] + " more"), (101, docs[9][1] + " more")]
+    counted, verify = {}, ngram_join.verify
+    monkeypatch.setattr(ngram_join, "verify", lambda disk, name, pairs, *a: counted.update({name: pairs.count()}) or verify(disk, name, pairs, *a))
+    got = {r.doc_id: r.component_id for r in ngram_join.classes(spark.createDataFrame(docs, "doc_id bigint, text string")).collect()}
+    sets, want, links = {i: set(ngram_join.shingles(t).tolist()) for i, t in docs}, {i: i for i, _ in docs}, 0
+    for i in sets:
+        for j in sets:
+            if i < j and 100 * len(sets[i] & sets[j]) >= 90 * len(sets[i] | sets[j]):
+                a, b, links = want[i], want[j], links + 1
+                want = {k: min(a, b) if c in (a, b) else c for k, c in want.items()}
+    assert got == want and got[100] == 7 and got[101] == 9
+    assert sum(counted.values()) < 4 * links + 40
