@@ -6,7 +6,8 @@ how many of its tokens lie from there on: two sets that link share a posted toke
 enough tokens on both sides. Similar sets are partitioned into groups (star links to the first set under a key of smallest
 hashes, verified; they only save comparisons, the matrix finds what they miss); the matrix holds the union of a group's posted tokens, an entry for each. A query set meets a group through an
 entry that leaves enough tokens. Parities of all its tokens, in bins, differ from those that the members have in common in no
-more bins than it differs from a member in tokens, so most meetings end there, before tokens are counted; the tokens it
+more bins than it differs from a member in tokens, so most meetings end there, before tokens are counted (larger sets have
+more bins, so that they do not fill up); the tokens it
 shares with the union bound its overlap with every member, and only groups whose bound can reach the threshold are
 opened, member by member, by parities again. What is left is compared token by token.
 
@@ -26,8 +27,8 @@ from .word_stream import mix, windows, words
 FREQ_BITS, CHUNKS = 18, 64
 #: Keys of a set, and smallest hashes in each of them.
 BANDS, WIDE = 8, 8
-#: Words of 64 parities of a set.
-PARITY = 8
+#: Words of 64 parities of a set. A set of more tokens than parities has STEP times as many on a finer level, and so on.
+PARITY, STEP = 8, 4
 
 
 def shingles(text: str | None, n: int = 3) -> np.ndarray:
@@ -71,7 +72,7 @@ def frequencies(docs: DataFrame, n: int) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """doc_id, size, digest (a, b) of the set and its posted tokens, rarest first, of every document."""
+    """doc_id, size, digest (a, b) of the set, its posted tokens, rarest first, its keys and parities, of every document."""
     rare = docs.sparkSession.sparkContext.broadcast(frequencies(docs, n))
 
     def run(batches):
@@ -79,7 +80,7 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
 
         freq = rare.value
         for batch in batches:
-            size, a, b, posts, keys, parities = [], [], [], [], [], []
+            size, a, b, posts, keys, parities, more = [], [], [], [], [], [], []
             for text in batch.column(1):
                 h = shingles(text.as_py(), n)
                 size.append(len(h))
@@ -90,9 +91,10 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
                 posts.append(h[first].view(np.int64))
                 keys.append(bands(h))
                 parities.append(parity(h))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int32()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), listed(posts), listed(keys), listed(parities)], ["doc_id", "n", "a", "b", "posts", "keys", "parity"])
+                more.append(finer(h))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int32()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), listed(posts), listed(keys), listed(parities), listed(more)], ["doc_id", "n", "a", "b", "posts", "keys", "parity", "finer"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n int, a bigint, b bigint, posts array<bigint>, keys array<bigint>, parity array<bigint>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n int, a bigint, b bigint, posts array<bigint>, keys array<bigint>, parity array<bigint>, finer array<bigint>")
 
 
 def digest(h: np.ndarray) -> tuple[int, int]:
@@ -121,6 +123,15 @@ def parity(h: np.ndarray) -> np.ndarray:
     return np.packbits((bins & 1).astype(np.uint8)).view(np.int64)
 
 
+def finer(h: np.ndarray) -> np.ndarray:
+    """Parities of a set in more bins, level after level, until there is a bin for each token; none for a set that `parity` suits."""
+    out, n = [np.zeros(0, np.int64)], 64 * PARITY
+    while n < len(h):
+        n *= STEP
+        out.append(np.packbits((np.bincount((h & np.uint64(n - 1)).astype(np.int64), minlength=n) & 1).astype(np.uint8)).view(np.int64))
+    return np.concatenate(out)
+
+
 def listed(arrays):
     import pyarrow as pa
 
@@ -158,6 +169,14 @@ def apart(one: str, all_: str, any_: str):
     return out
 
 
+def finest_apart(one: str, all_: str, any_: str):
+    """As `apart`, by the finest level of `finer` that both sides have; 0 where there is none."""
+    end = F.least(F.size(one), F.size(all_))
+    start = F.greatest(F.floor((end - PARITY * STEP) / STEP).cast("int"), F.lit(0))
+    bins = F.transform(F.slice(one, start + 1, end - start), lambda x, i: F.bit_count(x.bitwiseAND(F.bitwise_not(F.get(any_, start + i)))) + F.bit_count(F.bitwise_not(x).bitwiseAND(F.get(all_, start + i))))
+    return F.aggregate(bins, F.lit(0), lambda a, b: a + b)
+
+
 def few(bins, size_u, size_v, num: int, den: int):
     """Whether sets of these sizes that differ in so many tokens at least could link."""
     return bins * (num + den) <= (F.col(size_u) + size_v) * (den - num)
@@ -190,9 +209,29 @@ def alike_pairs(keyed: DataFrame, num: int, den: int) -> DataFrame:
     return pairs.where((F.col("u") != F.col("v")) & near_sizes("size", "hub_size", num, den)).select("u", "v").distinct()
 
 
+def among(meet: DataFrame, column: str):
+    """A filter of tables to rows whose id may be in a column of meet, by a bitmap of fixed size."""
+    bits = F.broadcast(bitmap(meet.select(F.xxhash64(column))))
+    return lambda rows, id_: rows.join(bits, F.lit(True)).where(marked(F.col("bits"), F.xxhash64(id_))).drop("bits")
+
+
+def still_near(meet: DataFrame, cards: DataFrame, num: int, den: int) -> DataFrame:
+    """Those of the meetings (u, su, g) that finer parities do not rule out; cards is (rid, g, size, parity, finer). A group has the
+    levels that all its members have."""
+    of_group = among(meet, "g")(cards.select("g", "size", "finer"), "g")
+    words = of_group.select("g", F.posexplode("finer").alias("pos", "w")).groupBy("g", "pos").agg(F.bit_and("w").alias("all"), F.bit_or("w").alias("any"))
+    words = words.groupBy("g").agg(F.array_sort(F.collect_list(F.struct("pos", "all", "any"))).alias("w"))
+    held = of_group.groupBy("g").agg(F.max("size").alias("hi"), F.min(F.size("finer")).alias("k")).join(words.hint("merge"), "g", "left")
+    common = held.select("g", "hi", *(F.coalesce(F.slice(f"w.{c}", 1, F.col("k")), F.array().cast("array<bigint>")).alias(c) for c in ("all", "any")))
+    mine = among(meet, "u")(cards.select(F.col("rid").alias("u"), F.col("size").alias("su"), F.col("finer").alias("fu")), "u")
+    most = F.least(F.col("hi"), F.floor(F.col("su") * den / num))
+    near = meet.join(mine.hint("merge"), ["u", "su"]).join(common.hint("merge"), "g").where(few(finest_apart("fu", "all", "any"), "su", most, num, den))
+    return near.select("u", "su", "g").distinct()
+
+
 def candidates(disk: Scratch, shared: DataFrame, group: DataFrame, prints: DataFrame, num: int, den: int) -> DataFrame:
     """Pairs (u, v) of different groups that matrix and parities cannot rule out; shared is (tok, rid, size, rest), group (rid, g),
-    prints (rid, size, parity)."""
+    prints (rid, size, parity, finer)."""
     placed = disk.keep("placed", shared.join(group, "rid", "left").select("tok", "rid", "size", "rest", F.coalesce("g", "rid").alias("g")))
     # one entry of the matrix: a token in the union of a group, with the sizes of the sets that post it and the most of any of them that lies from it on
     entry = placed.groupBy("tok", "g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"), F.max("rest").alias("most"))
@@ -206,27 +245,28 @@ def candidates(disk: Scratch, shared: DataFrame, group: DataFrame, prints: DataF
     # parities of the queries and of what the groups' members have in common
     ids = F.broadcast(bitmap(meet.select(F.xxhash64("u")).union(meet.select(F.xxhash64("g")))))
     cards = prints.join(group, "rid", "left").withColumn("g", F.coalesce("g", "rid")).join(ids, F.lit(True)).where(marked(F.col("bits"), F.xxhash64("rid")) | marked(F.col("bits"), F.xxhash64("g")))
-    cards = disk.keep("cards", cards.select("rid", "g", "size", "parity"))
+    cards = disk.keep("cards", cards.select("rid", "g", "size", "parity", "finer"))
     words = lambda f: F.array(*[f(F.get("parity", F.lit(i))) for i in range(PARITY)])
     common = cards.groupBy("g").agg(words(F.bit_and).alias("all"), words(F.bit_or).alias("any"), F.max("size").alias("hi"))
     mine = cards.select(F.col("rid").alias("u"), F.col("size").alias("su"), F.col("parity").alias("pu"))
     most = F.least(F.col("hi"), F.floor(F.col("su") * den / num))
     alike = meet.join(mine.hint("merge"), ["u", "su"]).join(common.hint("merge"), "g").where(few(apart("pu", "all", "any"), "su", most, num, den))
     meet = disk.keep("near", alike.select("u", "su", "g").distinct())
+    meet = disk.keep("nearer", still_near(meet, cards, num, den))
     # a query's overlap with a group's union bounds its overlap with every member: posted tokens met, and at most what lies behind the longer prefix
     of_group = placed.groupBy("g").agg(F.min("size").alias("lo"), F.max("size").alias("hi"))
-    near_u, near_g = (F.broadcast(bitmap(meet.select(F.xxhash64(c))).withColumnRenamed("bits", f"bits_{c}")) for c in ("u", "g"))
-    asking = lambda rows, rid: rows.join(near_u, F.lit(True)).where(marked(F.col("bits_u"), F.xxhash64(rid))).drop("bits_u")
-    asked = lambda rows: rows.join(near_g, F.lit(True)).where(marked(F.col("bits_g"), F.xxhash64("g"))).drop("bits_g")
+    asking, asked = among(meet, "u"), among(meet, "g")
     met_u = meet.hint("merge").join(asking(placed, "rid").select(F.col("rid").alias("u"), "tok").distinct(), "u")
-    overlap = met_u.join(asked(matrix.select("tok", "g")).hint("merge"), ["tok", "g"]).groupBy("u", "su", "g").agg(F.count("*").alias("c"))
+    overlap = met_u.join(asked(matrix.select("tok", "g"), "g").hint("merge"), ["tok", "g"]).groupBy("u", "su", "g").agg(F.count("*").alias("c"))
     behind = F.greatest(least("su"), F.ceil(F.least(F.col("hi"), F.floor(F.col("su") * den / num)) * num / den)) - 1
     opened = overlap.join(of_group, "g").where(enough(F.col("c") + behind, "su", F.greatest("lo", least("su")), num, den)).select("u", "su", "g")
     opened = disk.keep("opened", opened)
-    them = asked(cards).select("g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("parity").alias("pv"))
-    pairs = opened.hint("merge").join(asking(mine, "u"), ["u", "su"]).join(them.hint("merge"), "g").where(near_sizes("su", "sv", num, den) & few(apart("pu", "pv", "pv"), "su", F.col("sv"), num, den))
+    them = asked(cards, "g").select("g", F.col("rid").alias("v"), F.col("size").alias("sv"), F.col("parity").alias("pv"), F.col("finer").alias("fv"))
+    us = asking(cards, "rid").select(F.col("rid").alias("u"), F.col("size").alias("su"), F.col("parity").alias("pu"), F.col("finer").alias("fu"))
+    can = near_sizes("su", "sv", num, den) & few(apart("pu", "pv", "pv"), "su", F.col("sv"), num, den) & few(finest_apart("fu", "fv", "fv"), "su", F.col("sv"), num, den)
+    pairs = opened.hint("merge").join(us, ["u", "su"]).join(them.hint("merge"), "g").where(can)
     out = disk.keep("pairs", pairs.select("u", "v").distinct())
-    disk.drop("placed", "matrix", "meet", "cards", "near", "opened")
+    disk.drop("placed", "matrix", "meet", "cards", "near", "nearer", "opened")
     return out
 
 
@@ -245,7 +285,7 @@ def classes(docs: DataFrame, n: int = 3, num: int = 90, den: int = 100) -> DataF
     shared = disk.keep("shared", posts.join(met.hint("merge"), "tok"))  # the same way at every size
     disk.drop("met")
     keyed = own.select(F.explode("keys").alias("key"), F.col("doc_id").alias("rid"), F.col("n").alias("size"))
-    prints = sig.where("n > 0 and doc_id is not null").select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), "parity")
+    prints = sig.where("n > 0 and doc_id is not null").select(F.col("doc_id").alias("rid"), F.col("n").alias("size"), "parity", "finer")
     stars = disk.keep("stars", alike_pairs(keyed, num, den))
     sure = verify(disk, "sure", disk.keep("close", close(stars, prints, num, den)), docs, n, num, den)
     disk.drop("stars", "close")

@@ -355,3 +355,35 @@ def test_parities_rule_out_pairs_and_lose_no_link(spark, monkeypatch):
                 want = {k: min(a, b) if c in (a, b) else c for k, c in want.items()}
     assert got == want and got[100] == 7 and got[101] == 9
     assert sum(counted.values()) < 4 * links + 40
+
+
+def test_large_sets_that_share_passages_end_before_tokens_are_counted(spark, monkeypatch):
+    rng = np.random.default_rng(23)
+    for size in (400, 700, 3000, 9000):  # levels are bounds of the difference, on both sides of their edges
+        a = np.unique(rng.integers(0, 1 << 63, size, dtype=np.uint64))
+        b = np.unique(np.concatenate([a[size // 20 :], rng.integers(0, 1 << 63, size // 10, dtype=np.uint64)]))
+        rows = spark.createDataFrame([(x.tolist(), y.tolist()) for x, y in ((ngram_join.finer(a), ngram_join.finer(b)), (ngram_join.finer(b), ngram_join.finer(a)))], "x array<bigint>, y array<bigint>")
+        bins = {r[0] for r in rows.select(ngram_join.finest_apart("x", "y", "y")).collect()}
+        assert len(bins) == 1 and bins.pop() in ([0] if size == 400 else range(size // 10, len(np.setxor1d(a, b)) + 1))
+    parts, docs = {(i, j): [f"p{i}-{j}-{k}" for k in range(500)] for i in range(7) for j in range(i)}, []
+    for i in range(7):  # any two of them share a passage of 500 words, so no word is rare
+        docs.append((i, " ".join(w for pair, p in parts.items() if i in pair for w in p)))
+    for i in range(14):  # copies nearer to and further from the first one than the threshold, and from each other
+        w = docs[0][1].split()
+        for at in rng.choice(len(w), 20 + 3 * i, replace=False):
+            w[at] = f"x{i}-{at}"
+        docs.append((20 + i, " ".join(w)))
+    docs.append((1, docs[7][1] + " more"))  # a second text of one doc_id
+    kept, keep = {}, ngram_join.Scratch.keep
+    monkeypatch.setattr(ngram_join.Scratch, "keep", lambda self, name, df: kept.update({name: keep(self, name, df)}) or kept[name])
+    met, drop = {}, ngram_join.Scratch.drop
+    monkeypatch.setattr(ngram_join.Scratch, "drop", lambda self, *names: met.update({x: {(r.u, r.g) for r in kept[x].collect()} for x in names if x in ("near", "nearer")}) or drop(self, *names))
+    got = {(r.doc_id, r.component_id) for r in ngram_join.classes(spark.createDataFrame(docs, "doc_id bigint, text string")).collect()}
+    sets, want = [(i, set(ngram_join.shingles(t).tolist())) for i, t in docs], {i: i for i, _ in docs}
+    for i, x in sets:
+        for j, y in sets:
+            if i < j and 100 * len(x & y) >= 90 * len(x | y):
+                a, b = want[i], want[j]
+                want = {k: min(a, b) if c in (a, b) else c for k, c in want.items()}
+    assert got == set(want.items()) and want[20] == 0 and want[1] == 0 and want[2] == 2
+    assert not [x for x in met.get("nearer", met["near"]) if x[0] in range(2, 7)]
